@@ -7,6 +7,7 @@ import os
 import re
 import struct
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -20,7 +21,7 @@ MAGIC = b"TKRP"
 HEAD = "<4sHHIIIIQ"
 #: Ids of one shard; a longer document makes a longer shard.
 SHARD_IDS = 1 << 20
-CACHE_WORDS = 300_000
+CACHE_WORDS = 400_000
 
 # fixed values: how byte-level BPE of this family cuts a text into pieces, for texts of Latin-1 characters
 LETTER, NUMBER, BLANK = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
@@ -30,7 +31,8 @@ PIECES = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^{B
 class Encoder:
     """Ids by the tokenizers library. Merges never cross pieces, so each distinct piece of a Latin-1 text is encoded once and remembered.
 
-    Other texts, those with a special token's string or control characters, and tokenizers other than byte-level BPE go to the library whole.
+    New pieces go to the library many at a time, on a line each: a line break is a piece and an id of its own, where the ids are cut apart.
+    Texts of other characters or with a special token's string, and tokenizers other than byte-level BPE, are encoded whole.
     """
 
     def __init__(self, path: str):
@@ -39,19 +41,41 @@ class Encoder:
 
         self.library = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
-        added = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.whole = re.compile("|".join([r"[\x1c-\x1f]", r"[^\x00-\xff]", *map(re.escape, added)]))
+        self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
         config = json.loads(self.library.to_str())
         pre = config.get("pre_tokenizer") or {}
-        self.by_piece = config["model"]["type"] == "BPE" and not config.get("normalizer") and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
+        line = self.library.encode("\n", add_special_tokens=False).ids
+        self.line = line[0] if len(line) == 1 else None
+        self.by_piece = self.line is not None and config["model"]["type"] == "BPE" and not config.get("normalizer") and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
 
     def _whole(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, np.uint32).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn(self, pieces: list[str], at_once: int = 4000) -> None:
+        blank = [p for p in pieces if not p.strip() or p[-1].isspace()]
+        self.known.update(zip(blank, self._whole(blank), strict=True))
+        own = set(blank)
+        pieces = [p for p in pieces if p not in own]
+        for i in range(0, len(pieces), at_once):
+            part = pieces[i:i + at_once]
+            ids = np.array(self.library.encode_batch_fast(["\n" + "\n".join(part)], add_special_tokens=False)[0].ids, np.uint32)
+            cuts = np.flatnonzero(ids == self.line)
+            if len(cuts) != len(part):
+                raise RuntimeError("pieces were not cut at line breaks")
+            data, ends = ids.tobytes(), (4 * np.append(cuts[1:], len(ids))).tolist()
+            self.known.update((p, data[a:b]) for p, a, b in zip(part, (4 * cuts + 4).tolist(), ends, strict=True))
+
+    def _plain(self, text: str) -> bool:
+        try:
+            text.isascii() or text.encode("latin-1")
+        except UnicodeEncodeError:
+            return False
+        return not any(a in text for a in self.added)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
         out: list[bytes | None] = [None] * len(texts)
-        plain = [i for i, t in enumerate(texts) if self.by_piece and not self.whole.search(t)]
+        plain = [i for i, t in enumerate(texts) if self.by_piece and self._plain(t)]
         own = set(plain)
         other = [i for i in range(len(texts)) if i not in own]
         for i, ids in zip(other, self._whole([texts[i] for i in other]), strict=True):
@@ -59,8 +83,7 @@ class Encoder:
         if len(self.known) > CACHE_WORDS:
             self.known.clear()
         pieces = [PIECES.findall(texts[i]) for i in plain]
-        fresh = list({p for ps in pieces for p in ps}.difference(self.known))
-        self.known.update(zip(fresh, self._whole(fresh), strict=True))
+        self._learn(list(set().union(*pieces).difference(self.known)))
         for i, ps in zip(plain, pieces, strict=True):
             out[i] = b"".join(map(self.known.__getitem__, ps))
         return out
@@ -73,40 +96,39 @@ def _ragged(starts: np.ndarray, lengths: np.ndarray, flat: np.ndarray) -> np.nda
     return flat[np.repeat(starts - (ends - lengths), lengths) + np.arange(total)]
 
 
-def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, rounds: int = 5, per_round: int = 3_000, least: int = 8):
+def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, rounds: int = 3, per_round: int = 4_000, least: int = 8):
     """Replace frequent adjacent pairs by new symbols, again and again; pairs never reach over a document's end.
 
-    Each round counts all pairs by a hash, takes the most frequent exactly, and replaces every
-    occurrence that does not overlap one before it. Returns (sequence, sequence end of each document, rules as
-    (left, right) rows, number of rules after each round). Rules refer only to symbols of earlier rounds.
+    Each round counts all pairs by a hash; the most frequent slots each give the pair that they hold last, and every
+    occurrence of it that does not overlap one before it is replaced. Returns (sequence, sequence end of each document,
+    rules as (left, right) rows, number of rules after each round). Rules refer only to symbols of earlier rounds.
     """
     seq = ids.astype(np.uint32)
     ends = ends.astype(np.int64)
     rules, after = [], []
-    made, mask, shift = symbols, np.uint64((1 << 21) - 1), np.uint64(40)
+    made, slots, shift = symbols, 1 << 18, np.uint64(46)
+    holds = np.zeros(slots + 1, np.uint64)
+    number = np.zeros(slots + 1, np.int64)
     for _ in range(rounds):
         if len(seq) < 2:
             break
         key = (seq[:-1].astype(np.uint64) << np.uint64(32)) | seq[1:]
-        open_ = np.ones(len(key), bool)
+        slot = ((key * np.uint64(0x9E3779B97F4A7C15)) >> shift).astype(np.int32)
         inner = ends[(ends > 0) & (ends < len(seq))]
-        open_[inner - 1] = False
-        slot = (((key * np.uint64(0x9E3779B97F4A7C15)) >> shift) & mask).astype(np.int32)
-        count = np.bincount(slot[open_], minlength=1 << 21)
+        slot[inner - 1] = slots  # nothing is paired over an end
+        count = np.bincount(slot, minlength=slots + 1)
+        count[slots] = 0
         top = np.argpartition(-count, per_round)[:per_round]
         top = top[count[top] >= least]
         if not len(top):
             break
-        hot = np.zeros(1 << 21, bool)
+        hot = np.zeros(slots + 1, bool)
         hot[top] = True
-        at = np.flatnonzero(hot[slot] & open_)
-        pairs, inverse, times = np.unique(key[at], return_inverse=True, return_counts=True)
-        good = times >= least
-        number = np.cumsum(good) - 1
-        at, which = at[good[inverse]], number[inverse[good[inverse]]]
-        pairs = pairs[good]
-        if not len(at):
-            break
+        at = np.flatnonzero(hot[slot])
+        holds[slot[at]] = key[at]
+        at = at[holds[slot[at]] == key[at]]
+        number[top] = np.arange(len(top))
+        which, pairs = number[slot[at]], holds[top]
         # in a run of touching occurrences every second one is taken
         fresh = np.concatenate([[True], np.diff(at) != 1])
         head = np.maximum.accumulate(np.where(fresh, np.arange(len(at)), 0))
