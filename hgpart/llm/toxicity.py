@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from .common import mix64
 
 #: Labelled rows of a class that are fitted on, the first by hash of their id.
-MAX_PER_CLASS = 4_000
+MAX_PER_CLASS = 3_000
 #: N-grams are counted in so many buckets; each feature is one bucket.
 BUCKETS = 1 << 20
 LENGTHS = (3, 4, 5)
@@ -78,10 +78,19 @@ class Model:
         return 1.0 / (1.0 + np.exp(-np.clip(out, -35, 35)))
 
 
-def fit_arrays(texts: list[str], labels: np.ndarray, strength: float = 1.0, rounds: int = 150, smooth: float = 1.0) -> Model:
+def _pairs(texts: list[str]):
+    """(text, bucket), each once, for a stretch of texts at a time."""
+    for at, part in _batches_of(texts):
+        for buckets, owner in bucket_arrays(part):
+            pair = np.unique(owner.astype(np.int64) * BUCKETS + buckets)
+            yield (pair // BUCKETS + at).astype(np.int32), (pair % BUCKETS).astype(np.int32)
+
+
+def fit_arrays(texts: list[str], labels: np.ndarray, strength: float = 1e-4, rounds: int = 150, smooth: float = 1.0) -> Model:
     """Logistic regression on presence times log-count ratio, by accelerated gradient steps.
 
-    An n-gram of one length counts once a text. Without texts of both classes the
+    An n-gram of one length counts once a text. A first pass counts all buckets and picks the features, a second keeps
+    theirs alone, in stretches that bound what a step holds. Without texts of both classes the
     model is a constant: the smoothed share of positives.
     """
     y = np.asarray(labels, float)
@@ -89,42 +98,54 @@ def fit_arrays(texts: list[str], labels: np.ndarray, strength: float = 1.0, roun
     if not len(y) or positive in (0, len(y)):
         p = (positive + 1) / (len(y) + 2)
         return Model(np.zeros(0, np.int64), np.zeros(0), float(np.log(p / (1 - p))))
-    rows, cols = [], []
-    for at, part in _batches_of(texts):
-        for buckets, owner in bucket_arrays(part):
-            pair = np.unique(owner.astype(np.int64) * BUCKETS + buckets)
-            rows.append((pair // BUCKETS + at).astype(np.int32))
-            cols.append((pair % BUCKETS).astype(np.int32))
-    rows, cols = np.concatenate(rows), np.concatenate(cols)
-    with_p = np.bincount(cols, weights=y[rows], minlength=BUCKETS)
-    with_n = np.bincount(cols, minlength=BUCKETS) - with_p
+    with_p, total = np.zeros(BUCKETS), np.zeros(BUCKETS)
+    for rows, cols in _pairs(texts):
+        with_p += np.bincount(cols, weights=y[rows], minlength=BUCKETS)
+        total += np.bincount(cols, minlength=BUCKETS)
     # shares of texts, not of n-grams: long texts of one class don't shift the ratio
-    ratio = np.log((with_p + smooth) / (positive + 2 * smooth)) - np.log((with_n + smooth) / (len(y) - positive + 2 * smooth))
-    total = with_p + with_n
+    ratio = np.log((with_p + smooth) / (positive + 2 * smooth)) - np.log((total - with_p + smooth) / (len(y) - positive + 2 * smooth))
     rank = np.where(total >= 3, np.abs(ratio) * np.sqrt(total), 0.0)
     chosen = np.sort(np.argsort(-rank, kind="stable")[:FEATURES])
     chosen = chosen[rank[chosen] > 0]
     index = np.full(BUCKETS, -1, np.int32)
     index[chosen] = np.arange(len(chosen), dtype=np.int32)
-    col = index[cols]
-    on = col >= 0
-    row, col = rows[on], col[on]
-    del rows, cols
+    held = []
+    for rows, cols in _pairs(texts):
+        col = index[cols]
+        held.append((rows[col >= 0], col[col >= 0]))
     r = ratio[chosen]
-    value = r[col]
     n, m = len(y), len(chosen)
     # classes count alike
     share = np.where(y == 1, 0.5 / positive, 0.5 / (n - positive))
-    squares = np.bincount(row, weights=value * value, minlength=n)
-    step = 1.0 / (0.25 * float((share * (squares + 1)).sum()) + strength * 1e-4)
+
+    def times(w):
+        z = np.zeros(n)
+        x = r * w
+        for row, col in held:
+            z += np.bincount(row, weights=x[col], minlength=n)
+        return z
+
+    def back(g):
+        out = np.zeros(m)
+        for row, col in held:
+            out += np.bincount(col, weights=g[row], minlength=m)
+        return r * out
+
+    # the largest curvature, by power iteration
+    v, top = np.ones(m), 1.0
+    for _ in range(12):
+        v /= max(1e-300, np.linalg.norm(v))
+        v = back(share * times(v))
+        top = np.linalg.norm(v)
+    step = 1.0 / (0.3 * (top + 1.0) + strength)
     w, b, old_w, old_b = np.zeros(m), 0.0, np.zeros(m), 0.0
     for k in range(rounds):
         momentum = k / (k + 3)
         look_w, look_b = w + momentum * (w - old_w), b + momentum * (b - old_b)
-        z = np.bincount(row, weights=value * look_w[col], minlength=n) + look_b
+        z = times(look_w) + look_b
         g = share * (1.0 / (1.0 + np.exp(-np.clip(z, -35, 35))) - y)
         old_w, old_b = w, b
-        w = look_w - step * (np.bincount(col, weights=value * g[row], minlength=m) + strength * 1e-4 * look_w)
+        w = look_w - step * (back(g) + strength * look_w)
         b = look_b - step * float(g.sum())
     return Model(chosen.astype(np.int64), w * r, b)
 
@@ -143,7 +164,7 @@ def fit_toxicity(labelled: DataFrame, text_col: str = "text", label_col: str = "
         yield pd.DataFrame({"buckets": [model.buckets.tobytes()], "weights": [model.weights.tobytes()], "bias": [model.bias]})
 
     rows = labelled.filter(F.col(label_col).isNotNull()).select(F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), F.col(label_col).cast("int").alias("y"))
-    got = rows.coalesce(1).mapInPandas(run, "buckets binary, weights binary, bias double").collect()
+    got = rows.repartition(1).mapInPandas(run, "buckets binary, weights binary, bias double").collect()
     if not got:
         return fit_arrays([], np.zeros(0))
     return Model(np.frombuffer(got[0]["buckets"], np.int64), np.frombuffer(got[0]["weights"], np.float64), got[0]["bias"])
