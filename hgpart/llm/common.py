@@ -76,6 +76,18 @@ def worker_cache() -> dict:
     return held.items
 
 
+def stretches(texts: list[bytes], size: int = 2 << 20):
+    """(first index, texts) of consecutive stretches of about ``size`` bytes."""
+    at = held = 0
+    for i, t in enumerate(texts):
+        held += len(t)
+        if held >= size:
+            yield at, texts[at:i + 1]
+            at, held = i + 1, 0
+    if at < len(texts):
+        yield at, texts[at:]
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Bijective 64-bit finaliser on uint64 arrays."""
     x = x ^ (x >> np.uint64(33))

@@ -7,7 +7,6 @@ import os
 import re
 import struct
 import zlib
-from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -15,13 +14,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, new_path, worker_cache
+from .common import as_bytes, mix64, new_path, stretches, worker_cache
 
 MAGIC = b"TKRP"
 HEAD = "<4sHHIIIIQ"
+END = np.zeros(1, np.uint32)
 #: Ids of one shard; a longer document makes a longer shard.
 SHARD_IDS = 1 << 20
-CACHE_WORDS = 400_000
+CACHE_WORDS = 1_000_000
 
 # fixed values: how byte-level BPE of this family cuts a text into pieces, for texts of Latin-1 characters
 LETTER, NUMBER, BLANK = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
@@ -31,8 +31,10 @@ PIECES = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^{B
 class Encoder:
     """Ids by the tokenizers library. Merges never cross pieces, so each distinct piece of a Latin-1 text is encoded once and remembered.
 
-    New pieces go to the library many at a time, on a line each: a line break is a piece and an id of its own, where the ids are cut apart.
-    Texts of other characters or with a special token's string, and tokenizers other than byte-level BPE, are encoded whole.
+    Texts are cut into pieces by array operations, and pieces are looked up by a 64-bit hash of their characters. New ones
+    go to the library many at a time, on a line each: a line break is a piece and an id of its own, where the ids are cut apart.
+    Texts with an apostrophe, which may start a contraction, are cut by the pattern. Texts of other characters or with a special token's
+    string, and tokenizers other than byte-level BPE, are encoded whole.
     """
 
     def __init__(self, path: str):
@@ -40,60 +42,136 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
         self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
         config = json.loads(self.library.to_str())
         pre = config.get("pre_tokenizer") or {}
         line = self.library.encode("\n", add_special_tokens=False).ids
         self.line = line[0] if len(line) == 1 else None
         self.by_piece = self.line is not None and config["model"]["type"] == "BPE" and not config.get("normalizer") and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
-
-    def _whole(self, texts: list[str]) -> list[bytes]:
-        return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def _learn(self, pieces: list[str], at_once: int = 4000) -> None:
-        blank = [p for p in pieces if not p.strip() or p[-1].isspace()]
-        self.known.update(zip(blank, self._whole(blank), strict=True))
-        own = set(blank)
-        pieces = [p for p in pieces if p not in own]
-        for i in range(0, len(pieces), at_once):
-            part = pieces[i:i + at_once]
+        # 0 blank, 1 letter, 2 number, 3 other
+        self.kind = np.array([0 if re.match(f"[{BLANK}]", c) else 1 if re.match(f"[{LETTER}]", c) else 2 if re.match(f"[{NUMBER}]", c) else 3 for c in map(chr, range(256))], np.uint8)
+        self.power = np.multiply.accumulate(np.full(1 << 12, 0x9E3779B97F4A7C15, np.uint64))
+        self._forget()
+
+    def _forget(self) -> None:
+        self.hash, self.start, self.size, self.flat = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+
+    def _whole(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, np.uint32) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _pieces(self, pieces: list[str], at_once: int = 4000) -> tuple[np.ndarray, np.ndarray]:
+        """(ids one after another, how many of each piece)."""
+        apart = [i for i, p in enumerate(pieces) if not p.strip() or "\n" in p]
+        own = set(apart)
+        lines = [i for i in range(len(pieces)) if i not in own]
+        size, got = np.zeros(len(pieces), np.int64), []
+        for i in range(0, len(lines), at_once):
+            part = [pieces[j] for j in lines[i:i + at_once]]
             ids = np.array(self.library.encode_batch_fast(["\n" + "\n".join(part)], add_special_tokens=False)[0].ids, np.uint32)
             cuts = np.flatnonzero(ids == self.line)
             if len(cuts) != len(part):
                 raise RuntimeError("pieces were not cut at line breaks")
-            data, ends = ids.tobytes(), (4 * np.append(cuts[1:], len(ids))).tolist()
-            self.known.update((p, data[a:b]) for p, a, b in zip(part, (4 * cuts + 4).tolist(), ends, strict=True))
-
-    def _plain(self, text: str) -> bool:
+            size[lines[i:i + at_once]] = np.diff(np.append(cuts, len(ids))) - 1
+            got.append(ids[ids != self.line])
+        whole = self._whole([pieces[i] for i in apart])
+        size[apart] = [len(x) for x in whole]
+        flat = np.empty(int(size.sum()), np.uint32)
+        start = np.cumsum(size) - size
+        if lines:
+            joined = np.concatenate(got)
+            flat[_spread(start[lines], size[lines])] = joined
+        for i, x in zip(apart, whole, strict=True):
+            flat[start[i]:start[i] + len(x)] = x
+        return flat, size
+
+    def _starts(self, data: np.ndarray, begins: np.ndarray) -> np.ndarray:
+        """Where pieces start: at changes of kind, but a space before something else belongs to it, and of several blanks there only the last stands apart."""
+        kind = self.kind[data]
+        new = np.empty(len(data), bool)
+        new[0] = True
+        np.not_equal(kind[1:], kind[:-1], out=new[1:])
+        first = np.zeros(len(data), bool)
+        first[begins] = True
+        new |= first
+        after = np.flatnonzero(new[1:] & (kind[1:] != 0) & (kind[:-1] == 0) & ~first[1:]) + 1
+        new[after - 1] = True
+        new[after[data[after - 1] == 32]] = False
+        return np.flatnonzero(new)
+
+    def _plain(self, text: str) -> bytes | None:
         try:
-            text.isascii() or text.encode("latin-1")
+            data = text.encode("latin-1")
         except UnicodeEncodeError:
-            return False
-        return not any(a in text for a in self.added)
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Ids of each text as little-endian unsigned 32-bit integers."""
-        out: list[bytes | None] = [None] * len(texts)
-        plain = [i for i, t in enumerate(texts) if self.by_piece and self._plain(t)]
-        own = set(plain)
-        other = [i for i in range(len(texts)) if i not in own]
+            return None
+        return None if any(a in text for a in self.added) else data
+
+    def encode(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of each text."""
+        out: list[np.ndarray | None] = [None] * len(texts)
+        latin = [self._plain(t) if self.by_piece else None for t in texts]
+        other = [i for i, d in enumerate(latin) if d is None]
         for i, ids in zip(other, self._whole([texts[i] for i in other]), strict=True):
             out[i] = ids
-        if len(self.known) > CACHE_WORDS:
-            self.known.clear()
-        pieces = [PIECES.findall(texts[i]) for i in plain]
-        self._learn(list(set().union(*pieces).difference(self.known)))
-        for i, ps in zip(plain, pieces, strict=True):
-            out[i] = b"".join(map(self.known.__getitem__, ps))
+        fast = [i for i, d in enumerate(latin) if d]
+        for i, d in enumerate(latin):
+            if d == b"":
+                out[i] = np.zeros(0, np.uint32)
+        if not fast:
+            return out
+        data = np.frombuffer(b"".join(latin[i] for i in fast), np.uint8)
+        length = np.array([len(latin[i]) for i in fast], np.int64)
+        begins = np.cumsum(length) - length
+        starts = self._starts(data, begins)
+        quoted = [n for n, i in enumerate(fast) if b"'" in latin[i]]
+        if quoted:
+            hit = np.zeros(len(fast), bool)
+            hit[quoted] = True
+            owner = np.searchsorted(begins, starts, side="right") - 1
+            extra = [begins[n] + np.cumsum([0, *(len(p) for p in PIECES.findall(texts[fast[n]])[:-1])]) for n in quoted]
+            starts = np.sort(np.concatenate([starts[~hit[owner]], *extra]))
+        sizes = np.diff(np.append(starts, len(data)))
+        inside = np.arange(len(data)) - np.repeat(starts, sizes)
+        value = (data.astype(np.uint64) + np.uint64(1)) * self.power[inside & 4095]
+        if sizes.max() > 4096:
+            value = value * (mix64((inside >> 12).astype(np.uint64)) | np.uint64(1))
+        key = mix64(np.add.reduceat(value, starts) + sizes.astype(np.uint64))
+        uniq, first, which = np.unique(key, return_index=True, return_inverse=True)
+        if len(self.hash) > CACHE_WORDS:
+            self._forget()
+        pos = np.searchsorted(self.hash, uniq)
+        known = np.zeros(len(uniq), bool)
+        inner = pos < len(self.hash)
+        known[inner] = self.hash[pos[inner]] == uniq[inner]
+        fresh = np.flatnonzero(~known)
+        if len(fresh):
+            raw = data.tobytes()
+            ids, size = self._pieces([raw[a:a + n].decode("latin-1") for a, n in zip(starts[first[fresh]].tolist(), sizes[first[fresh]].tolist(), strict=True)])
+            where = pos[fresh]
+            self.start = np.insert(self.start, where, len(self.flat) + np.cumsum(size) - size)
+            self.size = np.insert(self.size, where, size)
+            self.hash = np.insert(self.hash, where, uniq[fresh])
+            self.flat = np.concatenate([self.flat, ids])
+            pos = np.searchsorted(self.hash, uniq)
+        at = pos[which]
+        ids = _ragged(self.start[at], self.size[at], self.flat)
+        ends = np.cumsum(self.size[at])
+        # the last piece of each text
+        last = np.append(np.searchsorted(starts, begins[1:]) - 1, len(starts) - 1)
+        cuts = ends[last]
+        for i, a, b in zip(fast, [0, *cuts[:-1].tolist()], cuts.tolist(), strict=True):
+            out[i] = ids[a:b]
         return out
 
 
+def _spread(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Indices start, start + 1, ... of each stretch."""
+    ends = np.cumsum(lengths)
+    return np.repeat(starts - (ends - lengths), lengths) + np.arange(int(ends[-1]) if len(ends) else 0)
+
+
 def _ragged(starts: np.ndarray, lengths: np.ndarray, flat: np.ndarray) -> np.ndarray:
     """Concatenation of flat[start:start + length]."""
-    ends = np.cumsum(lengths)
-    total = int(ends[-1]) if len(ends) else 0
-    return flat[np.repeat(starts - (ends - lengths), lengths) + np.arange(total)]
+    return flat[_spread(starts, lengths)]
 
 
 def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, rounds: int = 3, per_round: int = 4_000, least: int = 8):
@@ -219,18 +297,18 @@ def _packer(path: str, shard_ids: int):
         names, ids, lengths, held, start, number = [], [], [], 0, 0, 0
 
         def shard():
-            flat = np.frombuffer(b"".join(ids), np.uint32)
+            flat = np.concatenate(ids)
             blob = pack_shard(names, np.array(lengths, np.int64), flat, symbols, start)
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([number], pa.int32()), pa.array([len(names)], pa.int64()), pa.array([held], pa.int64()), pa.array([blob], pa.binary())], ["part", "shard", "n_docs", "n_ids", "data"])
 
         for batch in batches:
             keys = batch.column(0).to_pylist()
-            for at in range(0, len(keys), 200):
-                texts = [b.decode("utf-8", "replace") for b in batch.column(1).slice(at, 200).to_pylist()]
-                for key, one in zip(keys[at:at + 200], encoder.encode(texts), strict=True):
+            for at, part in stretches(batch.column(1).to_pylist()):
+                texts = [b.decode("utf-8", "replace") for b in part]
+                for key, one in zip(keys[at:at + len(part)], encoder.encode(texts), strict=True):
                     names.append(key)
-                    ids.append(one + b"\0\0\0\0")
-                    lengths.append(len(one) // 4 + 1)
+                    ids += (one, END)
+                    lengths.append(len(one) + 1)
                     held += lengths[-1]
                     if held >= shard_ids:
                         yield shard()
