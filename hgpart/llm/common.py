@@ -9,6 +9,7 @@ import types
 import uuid
 
 import numpy as np
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -76,16 +77,24 @@ def worker_cache() -> dict:
     return held.items
 
 
-def stretches(texts: list[bytes], size: int = 2 << 20):
-    """(first index, texts) of consecutive stretches of about ``size`` bytes."""
-    at = held = 0
-    for i, t in enumerate(texts):
-        held += len(t)
-        if held >= size:
-            yield at, texts[at:i + 1]
-            at, held = i + 1, 0
-    if at < len(texts):
-        yield at, texts[at:]
+def small_batches(spark: SparkSession, most: int = 16 << 20) -> None:
+    """Let Arrow batches of long texts hold at most 16 MB, so that several workers fit an executor. A setting of queries, not of the start."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if int(spark.conf.get(name).rstrip("b")) > most:
+        spark.conf.set(name, f"{most}b")
+
+
+def column_stretches(column, size: int = 2 << 20):
+    """(first row, Python values) of consecutive stretches of about ``size`` bytes of an Arrow column of bytes or strings."""
+    if not len(column):
+        return
+    ends = np.cumsum(np.nan_to_num(pc.binary_length(column).to_numpy(zero_copy_only=False).astype(float))).astype(np.int64)
+    at = 0
+    while at < len(column):
+        before = int(ends[at - 1]) if at else 0
+        to = max(at + 1, int(np.searchsorted(ends, before + size, side="right")))
+        yield at, column.slice(at, to - at).to_pylist()
+        at = to
 
 
 def mix64(x: np.ndarray) -> np.ndarray:

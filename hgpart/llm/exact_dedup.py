@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, written
+from .common import as_bytes, bounded_broadcast, small_batches, written
 
 
 def _hashes(hash_bytes: int, with_text: bool):
@@ -40,6 +40,7 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     An empty table gives an empty result; other columns are ignored. ``hash_bytes`` < 16
     serves tests that force collisions.
     """
+    small_batches(docs.sparkSession)
     best = {"min": F.min, "max": F.max}[keep]
     source = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
     kind = docs.schema[id_col].dataType.simpleString()

@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import column_stretches, small_batches
+
 # fixed values: element names of the HTML standard
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
@@ -170,7 +172,7 @@ def main_text(page: str | None) -> str:
 
 def _extract(batches):
     for batch in batches:
-        texts = [main_text(p) for p in batch.column("page").to_pylist()]
+        texts = [main_text(p) for _, part in column_stretches(batch.column("page")) for p in part]
         keep = [n for n in batch.schema.names if n != "page"]
         yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in keep), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [*keep, "text", "n_chars"])
 
@@ -181,6 +183,7 @@ def extract_text(pages: DataFrame, html_col: str = "html", keep: tuple[str, ...]
     A page is one row of work; nothing is grouped. Null and empty pages, and those of
     furniture alone, have an empty text. Repeated rows are all returned; other columns are ignored.
     """
+    small_batches(pages.sparkSession)
     kind = {f.name: f.dataType.simpleString() for f in pages.schema}
     rows = pages.select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)], F.col(html_col).cast("string").alias("page"))
     out = rows.mapInArrow(_extract, "".join(f"k{i} {kind[c]}, " for i, c in enumerate(keep)) + "text string, n_chars long")

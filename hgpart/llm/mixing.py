@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, written
+from .common import as_bytes, bounded_broadcast, column_stretches, small_batches, written
 
 #: Sources held on the driver at once; the operator stops beyond it instead of growing there.
 MAX_SOURCES = 1_000_000
@@ -20,7 +20,7 @@ PER_OCTAVE = 4
 def word_counts(batches):
     """Number of runs of bytes outside 0x20 and 0x09-0x0D."""
     for batch in batches:
-        sizes = [len(t.split()) for t in batch.column("body").to_pylist()]
+        sizes = [len(t.split()) for _, part in column_stretches(batch.column("body")) for t in part]
         yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in batch.schema.names if n != "body"), pa.array(sizes, pa.int64())], [*(n for n in batch.schema.names if n != "body"), "size"])
 
 
@@ -95,6 +95,7 @@ def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     documents of their own and get equal copies. An empty table gives an empty result.
     ``carry`` names further columns to keep.
     """
+    small_batches(docs.sparkSession)
     kind = {f.name: f.dataType.simpleString() for f in docs.schema}
     columns = list(dict.fromkeys([id_col, source_col, *carry]))
     rows = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(columns)], as_bytes(text_col).alias("body"))

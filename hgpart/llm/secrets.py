@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .automaton import compile_rules
-from .common import as_bytes, worker_cache
+from .common import as_bytes, column_stretches, small_batches, worker_cache
 
 # fixed values: (kind, pattern, letters in either case, least bytes of the match, least bytes of the value)
 # Least lengths are tested on whole matches, not counted by the automaton, but for hex: counts of several rules
@@ -131,8 +131,7 @@ def _scan(rules):
         cache = worker_cache()
         scanner = cache.get(("scanner", rules)) or cache.setdefault(("scanner", rules), Scanner(rules))
         for batch in batches:
-            texts = batch.column("body").to_pylist()
-            found = scanner.scan(texts)
+            found = [spans for _, part in column_stretches(batch.column("body"), 8 << 20) for spans in scanner.scan(part)]
             base = [[x for x in spans if rules[x[1]][0] in BASE] for spans in found]
             keep = [n for n in batch.schema.names if n != "body"]
             counts = [pa.array([sum(rules[k][0] == kind for _, k, _ in spans) for spans in found], pa.int64()) for kind in BASE]
@@ -150,6 +149,7 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     a shuffle. Null and empty texts have no spans; repeated rows and null ids are returned as they are.
     Non-ASCII characters belong to no rule's classes.
     """
+    small_batches(docs.sparkSession)
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
     out = rows.mapInArrow(_scan(tuple(rules)), f"id {kind}, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")

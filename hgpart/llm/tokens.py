@@ -14,14 +14,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, mix64, new_path, stretches, worker_cache
+from .common import as_bytes, column_stretches, mix64, new_path, small_batches, worker_cache
 
 MAGIC = b"TKRP"
 HEAD = "<4sHHIIIIQ"
 END = np.zeros(1, np.uint32)
 #: Ids of one shard; a longer document makes a longer shard.
 SHARD_IDS = 1 << 20
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 700_000
 
 # fixed values: how byte-level BPE of this family cuts a text into pieces, for texts of Latin-1 characters
 LETTER, NUMBER, BLANK = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
@@ -303,9 +303,9 @@ def _packer(path: str, shard_ids: int):
 
         for batch in batches:
             keys = batch.column(0).to_pylist()
-            for at, part in stretches(batch.column(1).to_pylist()):
-                texts = [b.decode("utf-8", "replace") for b in part]
-                for key, one in zip(keys[at:at + len(part)], encoder.encode(texts), strict=True):
+            for at, held_texts in column_stretches(batch.column(1)):
+                texts = [b.decode("utf-8", "replace") for b in held_texts]
+                for key, one in zip(keys[at:at + len(texts)], encoder.encode(texts), strict=True):
                     names.append(key)
                     ids += (one, END)
                     lengths.append(len(one) + 1)
@@ -328,6 +328,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, id_col: str = "doc_
     Parquet writer stores them, so only committed tasks leave any. Null texts are empty: just the end id.
     Repeated rows are written as often as they come. ``tokenizer`` must be readable on every executor.
     """
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
     rows = rows.repartitionByRange(F.col("id").asc_nulls_first()).sortWithinPartitions(F.col("id").asc_nulls_first(), "body")
     rows.mapInArrow(_packer(tokenizer, shard_ids), "part int, shard int, n_docs long, n_ids long, data binary").write.parquet(path)

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix64
+from .common import column_stretches, mix64, small_batches
 
 #: Labelled rows of a class that are fitted on, the first by hash of their id.
 MAX_PER_CLASS = 3_000
@@ -194,12 +194,13 @@ def score_toxicity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_c
 
     Null and empty texts get the score of an empty text. Repeated rows and null ids are returned.
     """
+    small_batches(docs.sparkSession)
     columns = list(dict.fromkeys([id_col, *carry]))
     kind = {f.name: f.dataType.simpleString() for f in docs.schema}
 
     def run(batches):
         for batch in batches:
-            scores = model.score([t or "" for t in batch.column("body").to_pylist()])
+            scores = np.concatenate([np.zeros(0), *(model.score([t or "" for t in part]) for _, part in column_stretches(batch.column("body"), 8 << 20))])
             names = [n for n in batch.schema.names if n != "body"]
             yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), pa.array(scores, pa.float64())], [*names, "score"])
 

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, new_path, written
+from .common import as_bytes, bounded_broadcast, new_path, small_batches, written
 
 #: Payload bytes of one segment; longer ones continue in further records.
 SEGMENT = 16_384
@@ -96,6 +96,7 @@ def write_warc(pages: DataFrame, path: str, id_col: str = "page_id", url_col: st
     Null payloads are empty. Records are named by id; where ids are null or repeated, each row's name gets a suffix of
     its own (``;`` and a UUID), a null id counting as the smallest. An empty table gives archives without records.
     """
+    small_batches(pages.sparkSession)
     kind = pages.schema[id_col].dataType
     source = pages.select(F.col(id_col).cast("string").alias("key"), F.col(url_col).cast("string").alias("url"), as_bytes(body_col).alias("body"))
     schema = "key string, url string, body binary, digest string, size long"
