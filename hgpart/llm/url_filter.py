@@ -70,22 +70,23 @@ class TokenRules:
         for items, confidence in rules:
             self.index.setdefault(min(items, key=lambda t: (often[t], t)), []).append((frozenset(items), confidence))
 
+    def matches(self, tokens: list[str]) -> list[tuple[frozenset, float]]:
+        own = set(tokens)
+        return [rule for t in tokens for rule in self.index.get(t, ()) if rule[0] <= own]
+
     def best(self, tokens: list[str]) -> tuple[str, float] | None:
-        own, best = set(tokens), None
-        for t in tokens:
-            for items, confidence in self.index.get(t, ()):
-                if items <= own and (best is None or (confidence, -len(items)) > (best[1], -len(best[0]))):
-                    best = (items, confidence)
-        return best and (" & ".join(sorted(best[0])), best[1])
+        found = max(self.matches(tokens), key=lambda r: (r[1], -len(r[0]), sorted(r[0])), default=None)
+        return found and (" & ".join(sorted(found[0])), found[1])
 
 
 def mine_url_rules(labelled: DataFrame, url_col: str = "url", label_col: str = "blocked", min_support: float = 0.005, min_confidence: float = 0.8, min_count: int = 20) -> list[tuple[list[str], float]]:
     """Token sets that imply a block, mined by FP-growth: [(tokens, confidence)].
 
     ``labelled`` holds URLs and 0/1 labels; null labels or URLs are left out.
-    Tokens below the least support are dropped first; of what remains a URL offers its
-    ITEMS rarest tokens to mining (matching later sees all). A rule stays if its confidence
-    is at least ``min_confidence`` and no shorter kept rule that it contains is as sure.
+    Tokens below the least support are dropped first; of what remains a URL offers its ITEMS tokens with the largest
+    share of blocked URLs to mining. Found token sets are then counted exactly over all labelled URLs, with all their tokens, by the
+    inverted index that matching uses. A rule stays if its blocked URLs reach the support and its
+    confidence ``min_confidence``, and no shorter kept rule that it contains is as sure.
     No labels, or none positive, give no rules.
     """
     tokens = F.pandas_udf(lambda s: s.map(url_tokens), "array<string>")
@@ -93,19 +94,24 @@ def mine_url_rules(labelled: DataFrame, url_col: str = "url", label_col: str = "
     n, positive = rows.agg(F.count("*"), F.coalesce(F.sum("y"), F.lit(0))).first()
     if not n or not positive:
         return []
-    support = max(min_support, min_count / n)
-    often = rows.select(F.explode("tokens").alias("t")).groupBy("t").count().filter(F.col("count") >= support * n)
+    support = min(1.0, max(min_support, min_count / n))
+    often = rows.select(F.explode("tokens").alias("t"), "y").groupBy("t").agg(F.sum("y").alias("y"), F.count("*").alias("n")).filter(F.col("y") >= support * n)
     # at most tokens-per-URL / support rows, whatever n is
-    count = {r["t"]: r["count"] for r in often.collect()}
-    rare = F.pandas_udf(lambda s, y: pd.Series([sorted(sorted((t for t in ts if t in count), key=lambda t: (count[t], t))[:ITEMS]) + [BLOCK] * int(v) for ts, v in zip(s, y, strict=True)]), "array<string>")
-    items = rows.select(rare("tokens", "y").alias("items"))
-    model = FPGrowth(itemsCol="items", minSupport=min(1.0, support), minConfidence=min_confidence).fit(items)
-    found = model.associationRules.filter(F.array_contains("consequent", BLOCK)).select("antecedent", "confidence").collect()
+    share = {r["t"]: (-r["y"] / r["n"], r["n"], r["t"]) for r in often.collect()}
+    best = F.pandas_udf(lambda s, y: pd.Series([sorted((t for t in ts if t in share), key=share.__getitem__)[:ITEMS] + [BLOCK] * int(v) for ts, v in zip(s, y, strict=True)]), "array<string>")
+    items = rows.select(best("tokens", "y").alias("items"))
+    model = FPGrowth(itemsCol="items", minSupport=support, minConfidence=min_confidence).fit(items)
+    found = [sorted(r["antecedent"]) for r in model.associationRules.filter(F.array_contains("consequent", BLOCK)).select("antecedent").collect()]
+    if not found:
+        return []
+    index = TokenRules([(x, float(i)) for i, x in enumerate(found)])
+    hits = F.pandas_udf(lambda s: s.map(lambda ts: [int(c) for _, c in index.matches(ts)]), "array<int>")
+    exact = rows.select(F.explode(hits("tokens")).alias("rule"), "y").groupBy("rule").agg(F.count("*").alias("n"), F.sum("y").alias("y")).filter((F.col("y") >= support * n) & (F.col("y") / F.col("n") >= min_confidence)).collect()
     kept: list[tuple[list[str], float]] = []
-    for r in sorted(found, key=lambda r: (len(r["antecedent"]), sorted(r["antecedent"]))):
-        items_ = set(r["antecedent"])
-        if not any(set(k) <= items_ and c >= r["confidence"] for k, c in kept):
-            kept.append((sorted(items_), float(r["confidence"])))
+    for r in sorted(exact, key=lambda r: (len(found[r["rule"]]), found[r["rule"]])):
+        own, confidence = set(found[r["rule"]]), r["y"] / r["n"]
+        if not any(set(k) <= own and c >= confidence for k, c in kept):
+            kept.append((sorted(own), float(confidence)))
     return kept
 
 
