@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import sys
 import tempfile
 import types
 import uuid
 
 import numpy as np
+import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -84,6 +86,27 @@ def small_batches(spark: SparkSession, most: int = 16 << 20) -> None:
         spark.conf.set(name, f"{most}b")
 
 
+def release() -> None:
+    """Give memory that the worker has freed back to the system: it may idle beside the next stage's."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        return
+
+
+def tidy(run):
+    """``run`` over the batches of a task, after which its memory is given back."""
+
+    def tidied(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return tidied
+
+
 def column_stretches(column, size: int = 2 << 20):
     """(first row, Python values) of consecutive stretches of about ``size`` bytes of an Arrow column of bytes or strings."""
     if not len(column):

@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, small_batches, written
+from .common import as_bytes, bounded_broadcast, small_batches, tidy, written
 
 
 def _hashes(hash_bytes: int, with_text: bool):
@@ -44,10 +44,10 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     best = {"min": F.min, "max": F.max}[keep]
     source = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
     kind = docs.schema[id_col].dataType.simpleString()
-    rows = written(source.mapInArrow(_hashes(hash_bytes, False), f"id {kind}, h binary, sha string"), "hashes")
+    rows = written(source.mapInArrow(tidy(_hashes(hash_bytes, False)), f"id {kind}, h binary, sha string"), "hashes")
     groups = rows.groupBy("h").agg(F.count("*").alias("n"), best("id").alias("keep_id"))
     again = written(groups.filter("n > 1").select("h"), "again")
-    with_text = source.mapInArrow(_hashes(hash_bytes, True), f"id {kind}, h binary, body binary")
+    with_text = source.mapInArrow(tidy(_hashes(hash_bytes, True)), f"id {kind}, h binary, body binary")
     wanted = bounded_broadcast(again, again.count())
     texts = written(with_text.join(wanted, "h", "left_semi").groupBy("h", "body").agg(F.count("*").alias("n"), best("id").alias("keep_id")), "texts")
     split = texts.groupBy("h").agg(F.count("*").alias("texts")).filter("texts > 1").select("h")

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column_stretches, small_batches
+from .common import column_stretches, small_batches, tidy
 
 # fixed values: element names of the HTML standard
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -186,5 +186,5 @@ def extract_text(pages: DataFrame, html_col: str = "html", keep: tuple[str, ...]
     small_batches(pages.sparkSession)
     kind = {f.name: f.dataType.simpleString() for f in pages.schema}
     rows = pages.select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)], F.col(html_col).cast("string").alias("page"))
-    out = rows.mapInArrow(_extract, "".join(f"k{i} {kind[c]}, " for i, c in enumerate(keep)) + "text string, n_chars long")
+    out = rows.mapInArrow(tidy(_extract), "".join(f"k{i} {kind[c]}, " for i, c in enumerate(keep)) + "text string, n_chars long")
     return out.select(*[F.col(f"k{i}").alias(c) for i, c in enumerate(keep)], "text", "n_chars")

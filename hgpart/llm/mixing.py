@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, column_stretches, small_batches, written
+from .common import as_bytes, bounded_broadcast, column_stretches, small_batches, tidy, written
 
 #: Sources held on the driver at once; the operator stops beyond it instead of growing there.
 MAX_SOURCES = 1_000_000
@@ -63,7 +63,7 @@ def diagonal_tilt(sizes: DataFrame, rounds: int = 60, tol: float = 1e-9) -> Data
                     break
             yield pdf.assign(rate=np.where(on, np.exp(lam), 0.0))
 
-    return sizes.mapInPandas(solve, sizes.schema.simpleString()[7:-1].replace(":", " ") + ", rate double")
+    return sizes.mapInPandas(tidy(solve), sizes.schema.simpleString()[7:-1].replace(":", " ") + ", rate double")
 
 
 def _pick_cells(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -99,7 +99,7 @@ def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     kind = {f.name: f.dataType.simpleString() for f in docs.schema}
     columns = list(dict.fromkeys([id_col, source_col, *carry]))
     rows = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(columns)], as_bytes(text_col).alias("body"))
-    rows = rows.mapInArrow(word_counts, ", ".join(f"c{i} {kind[c]}" for i, c in enumerate(columns)) + ", size long")
+    rows = rows.mapInArrow(tidy(word_counts), ", ".join(f"c{i} {kind[c]}" for i, c in enumerate(columns)) + ", size long")
     group = F.struct(F.col("c1").isNull().alias("none"), F.coalesce(F.col("c1").cast("string"), F.lit("")).alias("name"))
     rows = rows.withColumn("bin", F.when(F.col("size") > 0, F.floor(F.log2(F.col("size").cast("double")) * PER_OCTAVE)).otherwise(-1).cast("int")).withColumn("slot", F.pmod(F.xxhash64("c0"), F.lit(SLOTS)).cast("int"))
     rows = written(rows.withColumn("group", group), "sizes")

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .automaton import compile_rules
-from .common import as_bytes, column_stretches, small_batches, worker_cache
+from .common import as_bytes, column_stretches, small_batches, tidy, worker_cache
 
 # fixed values: (kind, pattern, letters in either case, least bytes of the match, least bytes of the value)
 # Least lengths are tested on whole matches, not counted by the automaton, but for hex: counts of several rules
@@ -152,5 +152,5 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     small_batches(docs.sparkSession)
     kind = docs.schema[id_col].dataType.simpleString()
     rows = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
-    out = rows.mapInArrow(_scan(tuple(rules)), f"id {kind}, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
+    out = rows.mapInArrow(tidy(_scan(tuple(rules))), f"id {kind}, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
     return out.withColumnRenamed("id", id_col)

@@ -14,7 +14,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, column_stretches, mix64, new_path, small_batches, worker_cache
+from .common import as_bytes, column_stretches, mix64, new_path, small_batches, tidy, worker_cache
 
 MAGIC = b"TKRP"
 HEAD = "<4sHHIIIIQ"
@@ -331,7 +331,7 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str, id_col: str = "doc_
     small_batches(docs.sparkSession)
     rows = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
     rows = rows.repartitionByRange(F.col("id").asc_nulls_first()).sortWithinPartitions(F.col("id").asc_nulls_first(), "body")
-    rows.mapInArrow(_packer(tokenizer, shard_ids), "part int, shard int, n_docs long, n_ids long, data binary").write.parquet(path)
+    rows.mapInArrow(tidy(_packer(tokenizer, shard_ids)), "part int, shard int, n_docs long, n_ids long, data binary").write.parquet(path)
 
 
 def _reader(batches):
@@ -363,7 +363,7 @@ def read_token_index(spark: SparkSession, path: str, id_col: str = "doc_id", id_
             yield b.set_column(1, "id", b.column(1).cast(wanted)) if b.column(1).type != wanted else b
 
     wanted = pa.string() if id_type == "string" else pa.int64()
-    rows = table.select("part", "data").mapInArrow(typed, f"part int, id {'string' if id_type == 'string' else 'bigint'}, at long, n_tokens long, ids_crc32 long")
+    rows = table.select("part", "data").mapInArrow(tidy(typed), f"part int, id {'string' if id_type == 'string' else 'bigint'}, at long, n_tokens long, ids_crc32 long")
     return rows.join(F.broadcast(offset), "part").select(F.col("id").cast(id_type).alias(id_col), (F.col("before") + F.col("at")).alias("start"), "n_tokens", "ids_crc32")
 
 

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import column_stretches, mix64, small_batches
+from .common import column_stretches, mix64, small_batches, tidy
 
 #: Labelled rows of a class that are fitted on, the first by hash of their id.
 MAX_PER_CLASS = 3_000
@@ -164,7 +164,7 @@ def fit_toxicity(labelled: DataFrame, text_col: str = "text", label_col: str = "
         yield pd.DataFrame({"buckets": [model.buckets.tobytes()], "weights": [model.weights.tobytes()], "bias": [model.bias]})
 
     rows = labelled.filter(F.col(label_col).isNotNull()).select(F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), F.col(label_col).cast("int").alias("y"))
-    got = rows.repartition(1).mapInPandas(run, "buckets binary, weights binary, bias double").collect()
+    got = rows.repartition(1).mapInPandas(tidy(run), "buckets binary, weights binary, bias double").collect()
     if not got:
         return fit_arrays([], np.zeros(0))
     return Model(np.frombuffer(got[0]["buckets"], np.int64), np.frombuffer(got[0]["weights"], np.float64), got[0]["bias"])
@@ -205,6 +205,6 @@ def score_toxicity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_c
             yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), pa.array(scores, pa.float64())], [*names, "score"])
 
     rows = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(columns)], F.col(text_col).cast("string").alias("body"))
-    out = rows.mapInArrow(run, "".join(f"c{i} {kind[c]}, " for i, c in enumerate(columns)) + "score double")
+    out = rows.mapInArrow(tidy(run), "".join(f"c{i} {kind[c]}, " for i, c in enumerate(columns)) + "score double")
     out = out.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(columns)], "score")
     return out.select(id_col, held_out(id_col).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"), *[c for c in carry if c != id_col])

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, new_path, small_batches, written
+from .common import as_bytes, bounded_broadcast, new_path, small_batches, tidy, written
 
 #: Payload bytes of one segment; longer ones continue in further records.
 SEGMENT = 16_384
@@ -100,18 +100,18 @@ def write_warc(pages: DataFrame, path: str, id_col: str = "page_id", url_col: st
     kind = pages.schema[id_col].dataType
     source = pages.select(F.col(id_col).cast("string").alias("key"), F.col(url_col).cast("string").alias("url"), as_bytes(body_col).alias("body"))
     schema = "key string, url string, body binary, digest string, size long"
-    hashed = source.mapInArrow(_digests, schema)
+    hashed = source.mapInArrow(tidy(_digests), schema)
     small = written(hashed.select("key", "digest", "size"), "digests")
     rows, ids, total = small.agg(F.count("*"), F.countDistinct("key"), F.coalesce(F.sum("size"), F.lit(0))).first()
     if ids < rows:
         # a name of its own for each row must be the same in both passes, so it is stored
         source = written(source.withColumn("key", F.concat(F.coalesce("key", F.lit("")), F.lit(";"), F.uuid())), "named")
-        hashed = source.mapInArrow(_digests, schema)
+        hashed = source.mapInArrow(tidy(_digests), schema)
         small = written(hashed.select("key", "digest", "size"), "digests")
     order = F.struct(F.nullif(F.substring_index("key", ";", 1), F.lit("")).cast(kind), F.col("key"))
     shared = small.filter(F.col("size") >= least).groupBy("digest", "size").agg(F.max_by("key", order).alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
     linked = written(small.join(shared, ["digest", "size"]).filter("key <> first").select("key", F.col("first").alias("refers_to")), "revisits")
-    records = hashed.join(bounded_broadcast(linked, linked.count()), "key", "left").select("key", "url", "body", "digest", "refers_to").mapInArrow(_records, "key string, segment int, record binary")
+    records = hashed.join(bounded_broadcast(linked, linked.count()), "key", "left").select("key", "url", "body", "digest", "refers_to").mapInArrow(tidy(_records), "key string, segment int, record binary")
     files = max(1, -(-total // file_bytes))
     records.repartition(files, F.xxhash64("key", "segment")).select(F.col("record").cast("string").alias("value")).write.option("compression", "gzip").option("lineSep", "\r\n").text(path)
 
@@ -240,11 +240,11 @@ def read_warc(spark: SparkSession, path: str, payload: bool = True) -> DataFrame
     archives raise. An empty folder of archives gives an empty result.
     """
     files = spark.read.format("binaryFile").option("pathGlobFilter", "*.gz").load(path).select("content")
-    parsed = files.mapInArrow(_parser(payload), _PARSED)
+    parsed = files.mapInArrow(tidy(_parser(payload)), _PARSED)
     parsed = written(parsed, "records")
     whole = parsed.filter("type <> 'segment'")
     parts = parsed.filter("type = 'segment'").groupBy("name").agg(F.array_sort(F.collect_list(F.struct("segment", "block"))).alias("parts"), F.max("total").alias("total"), F.max("uri").alias("uri"))
-    whole = whole.union(parts.mapInArrow(_assembler(payload), _PARSED))
+    whole = whole.union(parts.mapInArrow(tidy(_assembler(payload)), _PARSED))
     return whole.select("name", F.col("type").alias("record_type"), "uri", "refers_to", F.col("digest").alias("payload_digest"), F.col("size").alias("payload_bytes"), "payload")
 
 
