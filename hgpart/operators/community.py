@@ -57,7 +57,8 @@ def move_round(arcs: DataFrame, comm: DataFrame, degrees: DataFrame, vol: DataFr
     2 total (w(u,B) - w(u,A)) - deg (vol(B) - vol(A) + deg), in whole numbers. ``total`` is the sum of all degrees.
     """
     c = comm.select(F.col("node").alias("dst"), "community")
-    x = arcs.join(c, "dst")
+    # what a contracted community has inside goes wherever it goes
+    x = arcs.filter("src <> dst").join(c, "dst")
     if mine is not None:
         x = x.filter(mine)
     to = x.groupBy(F.col("src").alias("node"), "community").agg(F.sum("w").cast("decimal(38,0)").alias("w"))

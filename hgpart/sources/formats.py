@@ -20,7 +20,7 @@ def _lines(spark: SparkSession, path: str, comment: str) -> DataFrame:
 
 
 def _numbers(text: str = "text"):
-    return F.transform(F.split(F.trim(text), r"\s+"), lambda x: x.cast("long"))
+    return F.transform(F.split(F.trim(text), r"\s+"), lambda x: x.try_cast("long"))
 
 
 def read_hgr(spark: SparkSession, path: str) -> Hypergraph:
