@@ -79,8 +79,8 @@ def worker_cache() -> dict:
     return held.items
 
 
-def small_batches(spark: SparkSession, most: int = 16 << 20) -> None:
-    """Let Arrow batches of long texts hold at most 16 MB, so that several workers fit an executor. A setting of queries, not of the start."""
+def small_batches(spark: SparkSession, most: int = 4 << 20) -> None:
+    """Let Arrow batches of long texts hold at most 4 MB, so that several workers fit an executor. A setting of queries, not of the start."""
     name = "spark.sql.execution.arrow.maxBytesPerBatch"
     if int(spark.conf.get(name).rstrip("b")) > most:
         spark.conf.set(name, f"{most}b")
@@ -107,7 +107,7 @@ def tidy(run):
     return tidied
 
 
-def column_stretches(column, size: int = 2 << 20):
+def column_stretches(column, size: int = 1 << 20):
     """(first row, Python values) of consecutive stretches of about ``size`` bytes of an Arrow column of bytes or strings."""
     if not len(column):
         return

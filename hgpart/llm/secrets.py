@@ -131,7 +131,7 @@ def _scan(rules):
         cache = worker_cache()
         scanner = cache.get(("scanner", rules)) or cache.setdefault(("scanner", rules), Scanner(rules))
         for batch in batches:
-            found = [spans for _, part in column_stretches(batch.column("body"), 8 << 20) for spans in scanner.scan(part)]
+            found = [spans for _, part in column_stretches(batch.column("body"), 4 << 20) for spans in scanner.scan(part)]
             base = [[x for x in spans if rules[x[1]][0] in BASE] for spans in found]
             keep = [n for n in batch.schema.names if n != "body"]
             counts = [pa.array([sum(rules[k][0] == kind for _, k, _ in spans) for spans in found], pa.int64()) for kind in BASE]

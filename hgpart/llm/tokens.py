@@ -20,8 +20,8 @@ MAGIC = b"TKRP"
 HEAD = "<4sHHIIIIQ"
 END = np.zeros(1, np.uint32)
 #: Ids of one shard; a longer document makes a longer shard.
-SHARD_IDS = 1 << 20
-CACHE_WORDS = 700_000
+SHARD_IDS = 1 << 19
+CACHE_WORDS = 400_000
 
 # fixed values: how byte-level BPE of this family cuts a text into pieces, for texts of Latin-1 characters
 LETTER, NUMBER, BLANK = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"

@@ -200,7 +200,7 @@ def score_toxicity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_c
 
     def run(batches):
         for batch in batches:
-            scores = np.concatenate([np.zeros(0), *(model.score([t or "" for t in part]) for _, part in column_stretches(batch.column("body"), 8 << 20))])
+            scores = np.concatenate([np.zeros(0), *(model.score([t or "" for t in part]) for _, part in column_stretches(batch.column("body"), 4 << 20))])
             names = [n for n in batch.schema.names if n != "body"]
             yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), pa.array(scores, pa.float64())], [*names, "score"])
 
