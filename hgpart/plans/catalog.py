@@ -351,7 +351,7 @@ def _(spark, d):
 # -- initial partitioning ---------------------------------------------------------------------------
 
 
-@query("i02_eps", "SELECT k, e, round(pow((1 + e) * 1000 / k * kk / own, 1.0 / ceil(log2(kk))) - 1, 9) AS eps FROM (SELECT 4 AS k, 0.03 AS e, 4 AS kk, 1000 AS own UNION ALL SELECT 8, 0.03, 4, 505 UNION ALL SELECT 8, 0.05, 3, 380)")
+@query("i02_eps", "SELECT k, e, round(pow((1 + e) * 1000 / k * kk / own, 1.0 / ceil(log2(kk))) - 1, 9) AS eps FROM (SELECT 4 AS k, 0.03::DOUBLE AS e, 4 AS kk, 1000 AS own UNION ALL SELECT 8, 0.03, 4, 505 UNION ALL SELECT 8, 0.05, 3, 380)")
 def _(spark, d):
     x = spark.createDataFrame([(4, 0.03, 4, 1000), (8, 0.03, 4, 505), (8, 0.05, 3, 380)], "k int, e double, kk int, own int")
     return x.select("k", "e", F.round(F.pow((1 + F.col("e")) * 1000 / F.col("k") * F.col("kk") / F.col("own"), 1 / F.ceil(F.log2("kk"))) - 1, 9).alias("eps"))
