@@ -24,7 +24,7 @@ class Config:
     n_level: bool = False
     coarse_per_block: int = 160
     seeds: int = 4
-    task_pins: int = 300_000
+    task_pins: int = 1_000_000
     max_net_size: int = 1000
     lp_rounds: int = 2
     fm_rounds: int = 2
