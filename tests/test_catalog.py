@@ -3,6 +3,7 @@
 import os
 
 import duckdb
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -20,7 +21,7 @@ def db():
 
 
 def plain(v):
-    if v is None or v != v:
+    if pd.isna(v):
         return "None"
     return f"{float(v):.6g}" if not isinstance(v, (bool, str)) and hasattr(v, "__float__") else str(v)
 
