@@ -76,7 +76,7 @@ def _bfs(g, k, limit, eps, seed):
     return _bisect(g, k, eps, seed, lambda x, lim, s: kernels.rebalance(x, kernels.fm2(x, kernels.bfs_grow(x, lim, s), lim, 1), 2, lim))
 
 
-def _matching(g, k, limit, eps, seed, refine_, recursive):
+def _matching(g, k, limit, eps, seed, refine_):
     """Levels by pairs alone, then bisection or direct blocks, then ``refine_``."""
     levels, maps = [g], []
     while levels[-1].n > 160 * k:
@@ -120,12 +120,12 @@ def _fm(variant, per_search=None):
 
 #: Stand-ins for method classes of compared systems; see the README for what each combines.
 STAND_INS = {
-    "rb_matching": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, lambda x, p, k_, l_, s_: kernels.label_propagation(x, p, k_, l_, 1, s_), True),
-    "kway_matching": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _lp(3), False),
+    "rb_matching": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, lambda x, p, k_, l_, s_: kernels.label_propagation(x, p, k_, l_, 1, s_)),
+    "kway_matching": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _lp(3)),
     "kway_lpclust": lambda g, k, lim, eps, s: presets.multilevel(g, k, eps, s, fm=False),
-    "boundary_fm": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("boundary"), False),
-    "all_moves_fm": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("all_moves"), False),
-    "fm_local_only": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("localized", 25), False),
+    "boundary_fm": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("boundary")),
+    "all_moves_fm": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("all_moves")),
+    "fm_local_only": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("localized", 25)),
     "rb_bfs": _bfs,
     "lp_only": _flat_lp,
     "rb_cluster": lambda g, k, lim, eps, s: kernels.rebalance(g, kernels.recursive(g, k, eps, s), k, lim),

@@ -129,7 +129,7 @@ def test_prefix_sums(spark):
 
 def test_communities_find_planted_blocks(spark):
     h = workloads.planted(spark, 60, 500, 3, inside=0.95, seed=2)
-    found = community.louvain(h, max_rounds=4, subrounds=2, max_levels=4)
+    found = community.louvain(h, max_rounds=3, subrounds=2, max_levels=4)
     e = community.weighted_edges(h)
     every = found.select((F.col("node") * 2).alias("node"), "community").collect()
     names = {r["node"] // 2: r["community"] for r in every}
@@ -145,12 +145,11 @@ def test_refinement_improves_and_balances(spark):
     h = workloads.planted(spark, 120, 500, 4, inside=0.9, seed=1).materialised()
     p = baselines.random_blocks(h, 4)
     start = metrics.km1(h, p)
-    for f in (refine.lp, refine.deterministic_lp, refine.fm, refine.flows):
-        q, log = f(h, p, 4, 0.1)
-        assert metrics.km1(h, q) <= start and log, f.__name__
+    for f, rounds in ((refine.lp, 1), (refine.deterministic_lp, 1), (refine.fm, 1), (refine.flows, 1)):
+        q, log = f(h, p, 4, 0.1, rounds)
+        after = metrics.km1(h, q)
+        assert (after < start if f in (refine.fm, refine.flows) else after <= start) and log, f.__name__
         assert metrics.is_balanced(h, q, 4, 0.1) and q.count() == 120, f.__name__
-    assert metrics.km1(h, refine.fm(h, p, 4, 0.1)[0]) < start
-    assert metrics.km1(h, refine.flows(h, p, 4, 0.1)[0]) < start
 
 
 def test_swaps_follow_the_walk(spark):
@@ -181,7 +180,7 @@ def test_deterministic_preset_ignores_the_layout(spark):
 
 
 def test_presets_beat_floors(spark):
-    h = workloads.planted(spark, 200, 900, 4, inside=0.9, seed=5).materialised()
+    h = workloads.planted(spark, 120, 500, 4, inside=0.9, seed=5).materialised()
     floor = metrics.km1(h, baselines.hashed(h, 4))
     for preset in multilevel.PRESETS:
         got = multilevel.partition(h, 4, 0.05, preset)
@@ -216,14 +215,14 @@ def test_extreme_inputs(spark):
 
 def test_nlevel_tables(spark):
     h = workloads.planted(spark, 80, 200, 2, seed=7)
-    forest, rep = nlevel.coarsen_forest(h, 2, per_block=10, max_passes=5)
+    forest, rep = nlevel.coarsen_forest(h, 2, per_block=10, max_passes=3)
     f = {r["node"]: (r["parent"], r["tau"]) for r in forest.collect()}
     for v, (u, tau) in f.items():
         assert v != u and (u not in f or f[u][1] > tau)
     b = {r["node"]: r["batch"] for r in nlevel.batches(forest, 7).collect()}
     assert set(b) == set(f) and all(b[v] > b[u] for v, (u, _) in f.items() if u in b)
     pins_v = nlevel.versioned_pins(h, forest)
-    for tau in range(4):
+    for tau in (0, 2):
         root = {}
         for v in [r["node"] for r in h.nodes.collect()]:
             u = v
