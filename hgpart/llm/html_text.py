@@ -22,6 +22,7 @@ ROLES = frozenset("navigation banner contentinfo complementary search alert aler
 NAMES = re.compile(r"^(ads?|advert\w*|adbox|adsense|banner\w*|sponsor\w*|promo\w*|sidebar\w*|side|menu\w*|nav\w*|breadcrumbs?|footer|foot|header|masthead|topbar|cookies?|consent|gdpr|notices?|alerts?|popup\w*|modal|overlay|newsletter|subscri\w*|signup|login|share|sharing|social|related|recommend\w*|teaser\w*|widget\w*|comments?|commentlist|disqus\w*|replies|respond|responses)$", re.I)
 TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']|"[^"]*"|'[^']*')*)>""", re.S)
 ATTRIBUTE = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]+))?""")
+INLINE = frozenset("p span b i em strong a pre".split())
 PUNCTUATION = re.compile(r"[.,;:!?。，、]")
 
 
@@ -46,6 +47,22 @@ class Element:
             at = at.parent
         return False
 
+    def outermost(self, name: str) -> "Element | None":
+        found, at = None, self
+        while at:
+            if at.name == name:
+                found = at
+            at = at.parent
+        return found
+
+    def inside(self, ids: set[int]) -> bool:
+        at = self
+        while at:
+            if id(at) in ids:
+                return True
+            at = at.parent
+        return False
+
 
 def blocks_of(page: str) -> list[tuple[str, Element]]:
     """Text blocks in page order with the element that each starts in. Raw elements, comments and declarations give none."""
@@ -130,13 +147,25 @@ def content_weights(blocks: list[tuple[str, Element]]) -> list[float]:
     return [0.0 if e.furniture else a * (1 + b) for a, b, (_, e) in zip(smooth(ratio), smooth(dots), blocks, strict=True)]
 
 
+def covering(content: list[tuple[str, Element]]) -> Element:
+    """The smallest element that holds nine tenths of the text."""
+    held: dict[int, list] = {}
+    for t, e in content:
+        at = e
+        while at:
+            held.setdefault(id(at), [at, 0])[1] += len(t)
+            at = at.parent
+    need = 0.9 * sum(len(t) for t, _ in content)
+    return max((x for x in held.values() if x[1] >= need), key=lambda x: x[0].depth)[0]
+
+
 def main_text(page: str | None) -> str:
     """Content blocks joined by newlines.
 
-    Paths whose fused weight reaches the threshold (half the mean, weighted
-    by text) are content. The smallest element that holds nine tenths of the content's
-    text, or where there are any the ``article`` or ``main`` elements with content,
-    is the article: all its blocks outside page furniture are its text, short ones too.
+    Blocks whose fused weight reaches the threshold (half the mean, weighted
+    by text) are content, wherever they are. An ``article``, else ``main`` element with content in it
+    gives all its blocks outside page furniture, short ones too; one without content gives none. So does the smallest
+    element that holds nine tenths of the other content's text.
     """
     blocks = blocks_of(page or "")
     own = [(t, e) for t, e in blocks if not e.furniture]
@@ -146,28 +175,15 @@ def main_text(page: str | None) -> str:
     total = sum(len(t) for t, e in own)
     threshold = 0.5 * sum(w * len(t) for w, (t, e) in zip(weights, blocks, strict=True) if not e.furniture) / total
     content = [(t, e) for w, (t, e) in zip(weights, blocks, strict=True) if not e.furniture and w >= threshold]
-    for name in ("article", "main"):
-        if named := [t for t, e in own if e.within(name)]:
-            return "\n".join(named)
-    held: dict[int, list] = {}
-    for t, e in content:
-        at = e
-        while at:
-            held.setdefault(id(at), [at, 0])[1] += len(t)
+    named = [e.outermost("article") or e.outermost("main") for _, e in content]
+    chosen = {id(x) for x in named if x}
+    rest = [c for c, x in zip(content, named, strict=True) if not x]
+    if rest:
+        at = covering(rest)
+        if not chosen and at.name in INLINE and at.parent:
             at = at.parent
-    need = 0.9 * sum(len(t) for t, _ in content)
-    chosen = max((x for x in held.values() if x[1] >= need), key=lambda x: x[0].depth)[0]
-    if chosen.name in ("p", "span", "b", "i", "em", "strong", "a", "pre") and chosen.parent:
-        chosen = chosen.parent
-
-    def inside(e):
-        while e:
-            if e is chosen:
-                return True
-            e = e.parent
-        return False
-
-    return "\n".join(t for t, e in own if inside(e))
+        chosen.add(id(at))
+    return "\n".join(t for t, e in own if e.inside(chosen))
 
 
 def _extract(batches):

@@ -149,6 +149,15 @@ def test_main_text():
     assert main_text(plain).split("\n")[1] == "Tiny" and "Imprint" not in main_text(plain) and "A B" not in main_text(plain)
 
 
+def test_paths_choose_content_beside_articles():
+    long = "<p>" + "A long sentence, with commas, and more. " * 9 + "</p>"
+    teasers = "<article><h2>Read on</h2></article><article><h2>Also new</h2></article>"
+    got = main_text(f"<body><div>{long}{long}</div>{teasers}</body>")
+    assert got.count("A long") == 18 and "Read on" not in got and "Also new" not in got
+    both = main_text(f"<body><article><h1>Title</h1>{long}</article><div>{long}</div><div>Imprint</div></body>")
+    assert both.startswith("Title") and both.count("A long") == 18 and "Imprint" not in both
+
+
 def test_extract_whole_pages(spark):
     rows = [(1, "u", PAGE, "t"), (1, "u", PAGE, "t"), (None, None, None, None), (2, "v", "<p>" + "word, " * 200_000 + "</p>", "t")]
     got = extract_text(spark.createDataFrame(rows, "page_id long, url string, html string, text string")).collect()
