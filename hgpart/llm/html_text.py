@@ -147,16 +147,17 @@ def content_weights(blocks: list[tuple[str, Element]]) -> list[float]:
     return [0.0 if e.furniture else a * (1 + b) for a, b, (_, e) in zip(smooth(ratio), smooth(dots), blocks, strict=True)]
 
 
-def covering(content: list[tuple[str, Element]]) -> Element:
-    """The smallest element that holds nine tenths of the text."""
-    held: dict[int, list] = {}
-    for t, e in content:
-        at = e
-        while at:
-            held.setdefault(id(at), [at, 0])[1] += len(t)
-            at = at.parent
-    need = 0.9 * sum(len(t) for t, _ in content)
-    return max((x for x in held.values() if x[1] >= need), key=lambda x: x[0].depth)[0]
+def covering(elements: list[Element]) -> Element:
+    """The smallest element that holds all of ``elements``."""
+    found = elements[0]
+    for e in elements[1:]:
+        while e.depth > found.depth:
+            e = e.parent
+        while found.depth > e.depth:
+            found = found.parent
+        while found is not e:
+            found, e = found.parent, e.parent
+    return found
 
 
 def main_text(page: str | None) -> str:
@@ -165,7 +166,7 @@ def main_text(page: str | None) -> str:
     Blocks whose fused weight reaches the threshold (half the mean, weighted
     by text) are content, wherever they are. An ``article``, else ``main`` element with content in it
     gives all its blocks outside page furniture, short ones too; one without content gives none. So does the smallest
-    element that holds nine tenths of the other content's text.
+    element that holds all other content.
     """
     blocks = blocks_of(page or "")
     own = [(t, e) for t, e in blocks if not e.furniture]
@@ -177,10 +178,10 @@ def main_text(page: str | None) -> str:
     content = [(t, e) for w, (t, e) in zip(weights, blocks, strict=True) if not e.furniture and w >= threshold]
     named = [e.outermost("article") or e.outermost("main") for _, e in content]
     chosen = {id(x) for x in named if x}
-    rest = [c for c, x in zip(content, named, strict=True) if not x]
+    rest = [e for (_, e), x in zip(content, named, strict=True) if not x]
     if rest:
         at = covering(rest)
-        if not chosen and at.name in INLINE and at.parent:
+        while not chosen and at.name in INLINE and at.parent:
             at = at.parent
         chosen.add(id(at))
     return "\n".join(t for t, e in own if e.inside(chosen))

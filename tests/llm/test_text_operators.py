@@ -158,6 +158,12 @@ def test_paths_choose_content_beside_articles():
     assert both.startswith("Title") and both.count("A long") == 18 and "Imprint" not in both
 
 
+def test_no_share_of_the_content_is_cut():
+    lead, body, close = ("<div>" + f"{w}, with commas, and a stop. " * n + "</div>" for w, n in (("Lead", 7), ("Body", 200), ("Close", 7)))
+    got = main_text(f"<body>{lead}<nav>Menu</nav>{body}{close}</body>")
+    assert [got.count(w) for w in ("Lead", "Body", "Close", "Menu")] == [7, 200, 7, 0]
+
+
 def test_extract_whole_pages(spark):
     rows = [(1, "u", PAGE, "t"), (1, "u", PAGE, "t"), (None, None, None, None), (2, "v", "<p>" + "word, " * 200_000 + "</p>", "t")]
     got = extract_text(spark.createDataFrame(rows, "page_id long, url string, html string, text string")).collect()
