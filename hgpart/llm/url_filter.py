@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+from itertools import product
 
 import pandas as pd
 from pyspark.ml.fpm import FPGrowth
@@ -10,9 +11,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BLOCK = "label=block"
-#: Items of one labelled URL that mining looks at: bounds the itemsets of a URL (2 ** ITEMS) and so, with the
-#: least support, the number of rules: at most 2 ** ITEMS / support, whatever the number of URLs.
-ITEMS = 8
 SPLIT = re.compile(r"[^0-9A-Za-z]+")
 
 
@@ -83,8 +81,9 @@ def mine_url_rules(labelled: DataFrame, url_col: str = "url", label_col: str = "
     """Token sets that imply a block, mined by FP-growth: [(tokens, confidence)].
 
     ``labelled`` holds URLs and 0/1 labels; null labels or URLs are left out.
-    Tokens below the least support are dropped first; of what remains a URL offers its ITEMS tokens with the largest
-    share of blocked URLs to mining. Found token sets are then counted exactly over all labelled URLs, with all their tokens, by the
+    Tokens below the least support are dropped first; mining sees all others of every URL. Tokens that occur in the same labelled URLs are
+    mined as one and put back into the token sets found; those in every labelled URL change no count and are only rules of their
+    own. Found token sets are counted over all labelled URLs by the
     inverted index that matching uses. A rule stays if its blocked URLs reach the support and its
     confidence ``min_confidence``, and no shorter kept rule that it contains is as sure.
     No labels, or none positive, give no rules.
@@ -95,13 +94,22 @@ def mine_url_rules(labelled: DataFrame, url_col: str = "url", label_col: str = "
     if not n or not positive:
         return []
     support = min(1.0, max(min_support, min_count / n))
-    often = rows.select(F.explode("tokens").alias("t"), "y").groupBy("t").agg(F.sum("y").alias("y"), F.count("*").alias("n")).filter(F.col("y") >= support * n)
+    mark = F.xxhash64("tokens")
+    often = rows.select(F.explode("tokens").alias("t"), "y", mark.bitwiseAND(F.lit((1 << 31) - 1)).alias("low"), F.shiftrightunsigned(mark, 33).alias("high"))
+    often = often.groupBy("t").agg(F.sum("y").alias("y"), F.count("*").alias("n"), F.sum("low").alias("low"), F.sum("high").alias("high")).filter(F.col("y") >= support * n)
     # at most tokens-per-URL / support rows, whatever n is
-    share = {r["t"]: (-r["y"] / r["n"], r["n"], r["t"]) for r in often.collect()}
-    best = F.pandas_udf(lambda s, y: pd.Series([sorted((t for t in ts if t in share), key=share.__getitem__)[:ITEMS] + [BLOCK] * int(v) for ts, v in zip(s, y, strict=True)]), "array<string>")
-    items = rows.select(best("tokens", "y").alias("items"))
+    same: dict[tuple, list[str]] = {}
+    for r in sorted(often.collect()):
+        same.setdefault((r["n"], r["y"], r["low"], r["high"]), []).append(r["t"])
+    everywhere = [t for key, ts in same.items() if key[0] == n for t in ts]
+    alike = {ts[0]: ts for key, ts in same.items() if key[0] < n}
+    offer = F.pandas_udf(lambda s, y: pd.Series([[t for t in ts if t in alike] + [BLOCK] * int(v) for ts, v in zip(s, y, strict=True)]), "array<string>")
+    items = rows.select(offer("tokens", "y").alias("items"))
     model = FPGrowth(itemsCol="items", minSupport=support, minConfidence=min_confidence).fit(items)
-    found = [sorted(r["antecedent"]) for r in model.associationRules.filter(F.array_contains("consequent", BLOCK)).select("antecedent").collect()]
+    mined = model.associationRules.filter(F.array_contains("consequent", BLOCK)).select("antecedent").collect()
+    found = [sorted(x) for r in mined for x in product(*(alike[t] for t in r["antecedent"]))]
+    if positive >= min_confidence * n:
+        found += [[t] for t in everywhere]
     if not found:
         return []
     index = TokenRules([(x, float(i)) for i, x in enumerate(found)])

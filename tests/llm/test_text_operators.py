@@ -1,5 +1,6 @@
 """URL rules, toxicity, tokens, HTML, near duplicates, secrets and decontamination."""
 
+import itertools
 import random
 import re
 import zlib
@@ -57,6 +58,27 @@ def test_mined_rules(spark):
     assert mine_url_rules(none) == [] and mine_url_rules(none.limit(0)) == []
 
 
+def test_rules_of_neutral_tokens_in_long_urls(spark):
+    from hgpart.llm.url_filter import url_tokens
+
+    rows = []
+    for i in range(400):
+        a, b = i % 2, i // 2 % 2
+        words = ["alpha"] * a + ["beta"] * b + [f"w{j}" for j in range(7) if a == b or (i // 4 + j) % 3]
+        rows.append((f"http://x.org/{'/'.join(words)}", int(a == b)))
+    mined = mine_url_rules(spark.createDataFrame(rows, "url string, blocked int"))
+    assert (["p:alpha", "p:beta"], 1.0) in [(sorted(x), c) for x, c in mined]
+    # brute force over all sets of up to three tokens, and no shorter kept rule as sure
+    sets = [(set(url_tokens(u)), y) for u, y in rows]
+    kept = []
+    for size in (1, 2, 3):
+        for x in itertools.combinations(sorted(set().union(*(t for t, _ in sets))), size):
+            hit = [y for t, y in sets if set(x) <= t]
+            if hit and sum(hit) >= 20 and sum(hit) / len(hit) >= 0.8 and not any(set(k) < set(x) and c >= sum(hit) / len(hit) for k, c in kept):
+                kept.append((list(x), sum(hit) / len(hit)))
+    assert sorted((sorted(x), c) for x, c in mined if len(x) <= 3) == sorted(kept)
+
+
 # -- toxicity
 
 
