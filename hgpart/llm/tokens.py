@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from .common import as_bytes, column_stretches, mix64, new_path, small_batches, tidy, worker_cache
 
-MAGIC = b"TKRP"
+MAGIC = b"TKR2"
 HEAD = "<4sHHIIIIQ"
 END = np.zeros(1, np.uint32)
 #: Ids of one shard; a longer document makes a longer shard.
@@ -174,61 +174,84 @@ def _ragged(starts: np.ndarray, lengths: np.ndarray, flat: np.ndarray) -> np.nda
     return flat[_spread(starts, lengths)]
 
 
-def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, rounds: int = 3, per_round: int = 4_000, least: int = 8):
-    """Replace frequent adjacent pairs by new symbols, again and again; pairs never reach over a document's end.
+def _by_pair(seq: np.ndarray, at: np.ndarray, made: int) -> tuple[np.ndarray, np.ndarray]:
+    """(positions ordered by the pair that starts there, where each pair's positions begin)."""
+    wide, long = np.uint64(made.bit_length()), np.uint64(len(seq).bit_length())
+    pair = (seq[at].astype(np.uint64) << wide) | seq[at + 1]
+    if 2 * int(wide) + int(long) <= 64:  # pair and position in one number
+        both = np.sort((pair << long) | at.astype(np.uint64))
+        at, pair = (both & ((np.uint64(1) << long) - np.uint64(1))).astype(np.int64), both >> long
+    else:
+        order = np.argsort(pair, kind="stable")
+        at, pair = at[order], pair[order]
+    return at, np.flatnonzero(np.concatenate([[True], pair[1:] != pair[:-1]]))
 
-    Each round counts all pairs by a hash; the most frequent slots each give the pair that they hold last, and every
-    occurrence of it that does not overlap one before it is replaced. Returns (sequence, sequence end of each document,
+
+def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, least: int = 2):
+    """Replace adjacent pairs by new symbols until none occurs ``least`` times; pairs never reach over a document's end.
+
+    Each round counts all pairs exactly, in a run of one symbol every second. Where occurrences overlap, the more
+    frequent pair is replaced, and the other counted anew in the next round; the most frequent pair is replaced everywhere, so
+    each round makes a rule. Returns (sequence, sequence end of each document,
     rules as (left, right) rows, number of rules after each round). Rules refer only to symbols of earlier rounds.
     """
     seq = ids.astype(np.uint32)
     ends = ends.astype(np.int64)
     rules, after = [], []
-    made, slots, shift = symbols, 1 << 18, np.uint64(46)
-    holds = np.zeros(slots + 1, np.uint64)
-    number = np.zeros(slots + 1, np.int64)
-    for _ in range(rounds):
-        if len(seq) < 2:
+    made = symbols
+    while len(seq) > 1:
+        free = np.ones(len(seq) - 1, bool)
+        free[ends[(ends > 0) & (ends < len(seq))] - 1] = False  # nothing is paired over an end
+        twin = np.flatnonzero((seq[:-1] == seq[1:]) & free)
+        if len(twin):
+            head = np.maximum.accumulate(np.where(np.concatenate([[True], np.diff(twin) != 1]), np.arange(len(twin)), 0))
+            free[twin[(np.arange(len(twin)) - head) % 2 == 1]] = False
+        at = np.flatnonzero(free)
+        if not len(at):
             break
-        key = (seq[:-1].astype(np.uint64) << np.uint64(32)) | seq[1:]
-        slot = ((key * np.uint64(0x9E3779B97F4A7C15)) >> shift).astype(np.int32)
-        inner = ends[(ends > 0) & (ends < len(seq))]
-        slot[inner - 1] = slots  # nothing is paired over an end
-        count = np.bincount(slot, minlength=slots + 1)
-        count[slots] = 0
-        top = np.argpartition(-count, per_round)[:per_round]
-        top = top[count[top] >= least]
-        if not len(top):
+        at, first = _by_pair(seq, at, made)
+        count = np.diff(np.append(first, len(at)))
+        often = count >= least
+        if not often.any():
             break
-        hot = np.zeros(slots + 1, bool)
-        hot[top] = True
-        at = np.flatnonzero(hot[slot])
-        holds[slot[at]] = key[at]
-        at = at[holds[slot[at]] == key[at]]
-        number[top] = np.arange(len(top))
-        which, pairs = number[slot[at]], holds[top]
-        # in a run of touching occurrences every second one is taken
-        fresh = np.concatenate([[True], np.diff(at) != 1])
-        head = np.maximum.accumulate(np.where(fresh, np.arange(len(at)), 0))
-        take = (np.arange(len(at)) - head) % 2 == 0
-        at, which = at[take], which[take]
-        used = np.unique(which)
-        renumber = np.zeros(len(pairs), np.int64)
-        renumber[used] = np.arange(len(used))
-        pairs = pairs[used]
-        seq[at] = (made + renumber[which]).astype(np.uint32)
+        at = at[np.repeat(often, count)]
+        count = count[often]
+        rank = np.empty(len(count), np.int32)
+        rank[np.argsort(count, kind="stable")] = np.arange(1, len(count) + 1)
+        which = np.repeat(np.arange(len(count)), count)
+        # one place of margin before and after
+        weight, take = np.zeros(len(seq) + 1, np.int32), np.zeros(len(seq) + 1, bool)
+        weight[at + 1] = rank[which]
+        for _ in range(3):
+            best = np.flatnonzero((weight[1:-1] > weight[:-2]) & (weight[1:-1] > weight[2:])) + 1
+            take[best] = True
+            weight[best] = weight[best - 1] = weight[best + 1] = 0
+        taken = take[at + 1]
+        used = np.bincount(which[taken], minlength=len(count)) >= least
+        taken &= used[which]
+        at, which = at[taken], which[taken]
+        number = np.cumsum(used) - 1
+        some = np.zeros(len(number), np.int64)
+        some[which] = at
+        some = some[used]
+        rules.append(np.column_stack([seq[some], seq[some + 1]]))
+        seq[at] = (made + number[which]).astype(np.uint32)
         gone = np.zeros(len(seq), bool)
         gone[at + 1] = True
         ends = ends - np.concatenate([[0], np.cumsum(gone)])[ends]
         seq = seq[~gone]
-        rules.append(np.column_stack([pairs >> np.uint64(32), pairs & np.uint64(0xFFFFFFFF)]).astype(np.uint32))
-        made += len(pairs)
+        made += len(some)
         after.append(made - symbols)
     return seq, ends, np.concatenate(rules) if rules else np.zeros((0, 2), np.uint32), after
 
 
+def _planes(values: np.ndarray, width: int) -> bytes:
+    """The lowest bytes of all values, then the next ones, ...: what is left zero or alike lies together for the file's compression."""
+    return values.astype("<u4").reshape(-1, 1).view(np.uint8)[:, :width].T.tobytes()
+
+
 def pack_shard(doc_ids: list, lengths: np.ndarray, ids: np.ndarray, symbols: int, part_start: int) -> bytes:
-    """A shard: head, document ids (JSON), ids of each document, sequence ends, rules, expansion lengths, rounds, sequence."""
+    """A shard: head, document ids (JSON), ids of each document, sequence ends, rules, expansion lengths, rounds, sequence. Rules, lengths and sequence are in byte planes."""
 
     seq, ends, rules, after = re_pair(ids, np.cumsum(lengths), symbols)
     size = np.ones(symbols + len(rules), np.uint32)
@@ -236,10 +259,10 @@ def pack_shard(doc_ids: list, lengths: np.ndarray, ids: np.ndarray, symbols: int
     for high in after:
         size[symbols + low:symbols + high] = size[rules[low:high, 0]] + size[rules[low:high, 1]]
         low = high
-    width = np.uint16 if symbols + len(rules) <= 1 << 16 else np.uint32
+    width = max(1, (symbols + len(rules) - 1).bit_length() + 7 >> 3)
     names = json.dumps(doc_ids).encode()
-    head = struct.pack(HEAD, MAGIC, np.dtype(width).itemsize, len(after), len(names), len(lengths), len(rules), symbols, part_start)
-    return b"".join([head, struct.pack("<Q", len(seq)), names, lengths.astype("<u4").tobytes(), ends.astype("<u8").tobytes(), rules.astype("<u4").tobytes(), size[symbols:].astype("<u4").tobytes(), np.array(after, "<u4").tobytes(), seq.astype(np.dtype(width).newbyteorder("<")).tobytes()])
+    head = struct.pack(HEAD, MAGIC, width, len(after), len(names), len(lengths), len(rules), symbols, part_start)
+    return b"".join([head, struct.pack("<Q", len(seq)), names, lengths.astype("<u4").tobytes(), ends.astype("<u8").tobytes(), _planes(rules[:, 0], width), _planes(rules[:, 1], width), _planes(size[symbols:], 4), np.array(after, "<u4").tobytes(), _planes(seq, width)])
 
 
 class Shard:
@@ -262,9 +285,15 @@ class Shard:
             at += out.nbytes
             return out
 
+        def planes(n, width):
+            out = np.zeros((n, 4), np.uint8)
+            out[:, :width] = take(np.uint8, n * width).reshape(width, n).T
+            return out.view("<u4").ravel()
+
         self.lengths, self.ends = take("<u4", docs), take("<u8", docs).astype(np.int64)
-        rules, sizes, after = take("<u4", 2 * n_rules).reshape(-1, 2), take("<u4", n_rules), take("<u4", rounds)
-        self.seq = take(f"<u{width}", n_seq)
+        rules = np.column_stack([planes(n_rules, width), planes(n_rules, width)])
+        sizes, after = planes(n_rules, 4), take("<u4", rounds)
+        self.seq = planes(n_seq, width)
         self.size = np.concatenate([np.ones(symbols, np.int64), sizes])
         # expansions of all symbols one after another
         self.start = np.concatenate([[0], np.cumsum(self.size)[:-1]])

@@ -142,6 +142,28 @@ def test_re_pair_is_reversible_and_random_access():
     assert (Shard(pack_shard([None], np.array([1]), one, 50_257, 0)).all_ids() == one).all()
 
 
+def test_re_pair_leaves_no_pair_twice():
+    rng = np.random.default_rng(8)
+    passage = rng.integers(1, 50_000, 700)
+    docs = [np.append(np.concatenate([rng.integers(1, 300, rng.integers(0, 40)), passage, rng.integers(1, 300, 5)]), 0) for _ in range(60)] + [np.append(np.full(999, 7), 0), np.array([0])]
+    lengths, ids = np.array([len(d) for d in docs]), np.concatenate(docs).astype(np.uint32)
+    seq, ends, rules, _ = re_pair(ids, np.cumsum(lengths), 50_257)
+    seen, begin = {}, 0
+    for end in ends.tolist():
+        last = None
+        for i in range(begin, end - 1):
+            pair = (int(seq[i]), int(seq[i + 1]))
+            # touching occurrences in a run of one symbol count once
+            last = i if pair[0] == pair[1] and last != i - 1 else None
+            if pair[0] != pair[1] or last == i:
+                seen[pair] = seen.get(pair, 0) + 1
+        begin = end
+    assert max(seen.values()) == 1 and len(seq) < 60 * 30
+    assert len(np.unique(rules, axis=0)) == len(rules)
+    shard = Shard(pack_shard(list(range(len(docs))), lengths, ids, 50_257, 0))
+    assert (shard.all_ids() == ids).all() and (shard.document(60) == docs[60]).all()
+
+
 def test_token_round_trip(spark, encoder):
     rows = [(3, "Hello world"), (1, None), (2, ""), (2, "again"), (None, "no id"), (9, "word " * 40_000), (3, "Hello world")]
     got = [tuple(r) for r in token_round_trip(docs_of(spark, rows), tokenizer_path()).orderBy("start").collect()]
