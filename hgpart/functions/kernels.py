@@ -423,6 +423,10 @@ def candidate(g: Local, technique: str, limit: list[int], seed: int) -> tuple[in
     return g.km1(part), max(w[0] - limit[0], w[1] - limit[1], 0), part
 
 
+#: Runs of each technique: at least, at most, and whether the ones after the least depend on their use.
+RUNS = (5, 20, True)
+
+
 def worth_rerun(values: list[float], best: float) -> bool:
     """Another run may beat ``best``: it lies within two deviations under the mean."""
     n = len(values)
@@ -431,7 +435,7 @@ def worth_rerun(values: list[float], best: float) -> bool:
     return mean - 2 * sd <= best
 
 
-def portfolio(g: Local, limit: list[int], min_runs: int = 1, max_runs: int = 4, adaptive: bool = True, seed: int = 0) -> list[int]:
+def portfolio(g: Local, limit: list[int], min_runs: int = 5, max_runs: int = 20, adaptive: bool = True, seed: int = 0) -> list[int]:
     best = None
     for i, name in enumerate(TECHNIQUES):
         values: list[float] = []
@@ -494,7 +498,7 @@ def adaptive_eps(total: int, k: int, part_total: int, k_part: int, eps: float) -
     return ((1 + eps) * total / k * k_part / part_total) ** (1 / math.ceil(math.log2(k_part))) - 1
 
 
-def bipartition(g: Local, limit: list[int], seed: int = 0, coarse_to: int = 320, runs: tuple[int, int, bool] = (1, 3, True)) -> list[int]:
+def bipartition(g: Local, limit: list[int], seed: int = 0, coarse_to: int = 320, runs: tuple[int, int, bool] = RUNS) -> list[int]:
     levels, maps = [g], []
     c_max = max(1, sum(g.node_weight) // coarse_to)
     while levels[-1].n > coarse_to:
@@ -509,7 +513,7 @@ def bipartition(g: Local, limit: list[int], seed: int = 0, coarse_to: int = 320,
     return rebalance(g, part, 2, limit)
 
 
-def recursive(g: Local, k: int, eps: float, seed: int = 0, runs: tuple[int, int, bool] = (1, 3, True), total: int | None = None, k_all: int | None = None) -> list[int]:
+def recursive(g: Local, k: int, eps: float, seed: int = 0, runs: tuple[int, int, bool] = RUNS, total: int | None = None, k_all: int | None = None) -> list[int]:
     """Blocks 0..k-1 by bisection into ceil(k / 2) and floor(k / 2) shares."""
     if k == 1 or not g.n:
         return [0] * g.n

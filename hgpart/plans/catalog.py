@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .. import model
+from ..functions import kernels
 from ..model import Hypergraph, reference_partition
 from ..operators import coarsen, community, contract, gains, graphs, initial, joins, metrics, nlevel, prefix, refine
 from ..sources import workloads as W
@@ -377,7 +378,7 @@ def _(spark, d):
 
 @query("i04_portfolio_w7")
 def _(spark, d):
-    return initial.portfolio(W.shared_lines(spark, d), EPS, repeats=1)
+    return initial.portfolio(W.shared_lines(spark, d), EPS, repeats=kernels.RUNS[1])
 
 
 # -- gains --------------------------------------------------------------------------------------------

@@ -173,3 +173,16 @@ def test_stop_rule_and_eps():
     assert kernels.fm_should_stop(50, -100, 220, 1.0, 5.0)
     assert kernels.adaptive_eps(100, 4, 100, 4, 0.03) == pytest.approx(1.03**0.5 - 1)
     assert kernels.worth_rerun([10, 12, 11], 9) and not kernels.worth_rerun([10, 10, 10], 5)
+
+
+def test_portfolio_repeats_every_technique(monkeypatch):
+    calls = []
+    real = kernels.candidate
+    monkeypatch.setattr(kernels, "candidate", lambda g, name, *rest: calls.append(name) or real(g, name, *rest))
+    g = kernels.Local([[i, (i + 1) % 12] for i in range(12)], [1] * 12, [1] * 12)
+    kernels.recursive(g, 2, 0.1)
+    runs = [calls.count(name) for name in kernels.TECHNIQUES]
+    assert min(runs) >= 5 and max(runs) <= 20
+    calls.clear()
+    presets.multilevel(g, 2, 0.1, 0, runs=presets.FIXED_RUNS)
+    assert {calls.count(name) for name in kernels.TECHNIQUES} == {20}
