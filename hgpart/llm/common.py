@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import ctypes
+import re
 import sys
 import tempfile
 import types
@@ -23,13 +24,14 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
+    """The folder that driver and executors share. Where the session names none: the warehouse on a cluster, a temporary folder in local mode."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = held.get() if held.isDefined() else None
     if not base:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="hgpart-"))
+        local = re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master)
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="hgpart-") if local else spark.conf.get("spark.sql.warehouse.dir") + "/_hgpart")
         base = spark.sparkContext._jsc.sc().getCheckpointDir().get()
     return base.rstrip("/")
 
@@ -59,6 +61,11 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def ascii_lower(text: Column) -> Column:
+    """A-Z lower-cased and nothing else; texts of ASCII alone take the built-in's fast path."""
+    return F.when(F.octet_length(text) == F.length(text), F.lower(text)).otherwise(F.translate(text, UPPER, UPPER.lower()))
+
+
 def as_bytes(column: str | Column) -> Column:
     """UTF-8 bytes of a text column; null counts as empty."""
     col = F.col(column) if isinstance(column, str) else column
@@ -129,7 +136,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-def connected_components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 40) -> DataFrame:
+def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """Component of every vertex of ``edges``: (node, component), component = smallest node reachable.
 
     Alternates two contractions until the edges form stars around their
@@ -142,7 +149,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", rounds: i
     e = edges.select(F.col(a).alias("u"), F.col(b).alias("v")).filter("u is not null and v is not null and u <> v").distinct()
     e = written(e, "cc")
     marks = None
-    for _ in range(rounds):
+    while True:
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
@@ -155,6 +162,4 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", rounds: i
         if now == marks:
             break
         marks = now
-    else:
-        raise RuntimeError("components did not settle")
     return e.select(F.col("u").alias("node"), F.col("v").alias("component")).union(e.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())

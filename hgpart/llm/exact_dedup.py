@@ -2,26 +2,13 @@
 
 from __future__ import annotations
 
-import hashlib
-
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, bounded_broadcast, small_batches, tidy, written
-
+from .common import BROADCAST_ROWS, ascii_lower, bounded_broadcast, written
 
-def _hashes(hash_bytes: int, with_text: bool):
-    def run(batches):
-        for batch in batches:
-            ids, texts = batch.column(0), [t.lower() for t in batch.column(1).to_pylist()]
-            key = pa.array([hashlib.md5(t, usedforsecurity=False).digest()[:hash_bytes] for t in texts], pa.binary())
-            if with_text:
-                yield pa.RecordBatch.from_arrays([ids, key, pa.array(texts, pa.binary())], ["id", "h", "body"])
-            else:
-                yield pa.RecordBatch.from_arrays([ids, key, pa.array([hashlib.sha256(t).hexdigest() for t in texts], pa.string())], ["id", "h", "sha"])
-
-    return run
+#: Hot groups: those with at least so many rows, or more where the table is so large that their number could pass BROADCAST_ROWS.
+HOT_ROWS = 1_000
 
 
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", hash_bytes: int = 16) -> DataFrame:
@@ -29,40 +16,50 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     Texts are equal when identical after lower-casing A-Z (bytes otherwise
     unchanged). ``keep`` is ``min`` or ``max`` and says which id of a group
-    stays. Ids and hashes are grouped first, 16 bytes a row; only rows whose hash occurs
+    stays. One pass hashes the texts; ids and hashes are grouped, 16 bytes a row; only rows whose hash occurs
     again have their bytes compared, by grouping on (hash, bytes), which Spark combines on
     the map side, so that thousands of copies leave each task as one row. Hashes that
     turn out to cover several texts are told apart by those bytes.
 
+    Rows whose hash occurs once need no partner. Groups of ``HOT_ROWS`` rows and more, at most rows / HOT_ROWS of them and never more than a
+    broadcast may hold, are broadcast, so a group of any size stays where its rows are; the others meet by hash.
+
     Null texts count as empty and equal each other. A null id is a row of its
     group like any other; it is kept only where the whole group has none. Rows
     that repeat an id and text are all returned and all kept if their id is.
     An empty table gives an empty result; other columns are ignored. ``hash_bytes`` < 16
     serves tests that force collisions.
     """
-    small_batches(docs.sparkSession)
     best = {"min": F.min, "max": F.max}[keep]
-    source = docs.select(F.col(id_col).alias("id"), as_bytes(text_col).alias("body"))
-    kind = docs.schema[id_col].dataType.simpleString()
-    rows = written(source.mapInArrow(tidy(_hashes(hash_bytes, False)), f"id {kind}, h binary, sha string"), "hashes")
-    groups = rows.groupBy("h").agg(F.count("*").alias("n"), best("id").alias("keep_id"))
-    again = written(groups.filter("n > 1").select("h"), "again")
-    with_text = source.mapInArrow(tidy(_hashes(hash_bytes, True)), f"id {kind}, h binary, body binary")
-    wanted = bounded_broadcast(again, again.count())
-    texts = written(with_text.join(wanted, "h", "left_semi").groupBy("h", "body").agg(F.count("*").alias("n"), best("id").alias("keep_id")), "texts")
+    text = ascii_lower(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+    source = docs.select(F.col(id_col).alias("id"), text.cast("binary").alias("body"))
+    key = F.expr(f"substring(unhex(md5(body)), 1, {hash_bytes})").alias("h")
+    rows = written(source.select("id", key, F.unhex(F.sha2("body", 256)).alias("sha")), "hashes")
+    groups = written(rows.groupBy("h").agg(F.count("*").alias("n"), best("id").alias("keep_id")).filter("n > 1"), "again")
+    again, in_groups = groups.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
+    texts = source.select("id", key, "body").join(bounded_broadcast(groups.select("h"), again), "h", "left_semi")
+    texts = texts.groupBy("h", "body").agg(F.count("*").alias("n"), best("id").alias("keep_id"))
+    texts = written(texts, "texts")
     split = texts.groupBy("h").agg(F.count("*").alias("texts")).filter("texts > 1").select("h")
-    split_rows = split.count()
-    plain = rows if not split_rows else rows.join(split, "h", "left_anti")
-    out = plain.join(groups, "h")
-    columns = ["id", "keep_id", "n", "sha"]
-    result = out.select(*columns)
-    if split_rows:
-        collided = with_text.join(split, "h", "left_semi").withColumn("sha", F.sha2("body", 256))
-        result = result.union(collided.join(texts, ["h", "body"]).select(*columns))
-    return result.select(
+    n_split = split.count()
+    if again <= BROADCAST_ROWS:
+        out = rows.join(F.broadcast(groups), "h", "left")
+    else:
+        # at most in_groups / hot groups can have ``hot`` rows
+        hot = max(HOT_ROWS, -(-in_groups // BROADCAST_ROWS))
+        out = rows.join(F.broadcast(groups.filter(F.col("n") >= hot)), "h", "left")
+        large = out.filter("n is not null")
+        small = out.filter("n is null").drop("n", "keep_id").join(groups.filter(F.col("n") < hot), "h", "left")
+        out = large.unionByName(small)
+    if n_split:
+        collided = source.select("id", key, "body").join(split, "h", "left_semi").withColumn("sha", F.unhex(F.sha2("body", 256)))
+        out = out.join(split, "h", "left_anti").select("id", "keep_id", "n", "sha").union(collided.join(texts, ["h", "body"]).select("id", "keep_id", "n", "sha"))
+    alone = F.col("n").isNull()
+    keep_id = F.when(alone, F.col("id")).otherwise(F.col("keep_id"))
+    return out.select(
         F.col("id").alias(id_col),
-        "keep_id",
-        F.col("n").cast("long").alias("group_size"),
-        F.col("id").eqNullSafe(F.col("keep_id")).alias("kept"),
-        F.col("sha").alias("text_sha256"),
+        keep_id.alias("keep_id"),
+        F.coalesce("n", F.lit(1)).cast("long").alias("group_size"),
+        F.col("id").eqNullSafe(keep_id).alias("kept"),
+        F.lower(F.hex("sha")).alias("text_sha256"),
     )

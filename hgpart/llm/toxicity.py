@@ -86,11 +86,11 @@ def _pairs(texts: list[str]):
             yield (pair // BUCKETS + at).astype(np.int32), (pair % BUCKETS).astype(np.int32)
 
 
-def fit_arrays(texts: list[str], labels: np.ndarray, strength: float = 1e-4, rounds: int = 150, smooth: float = 1.0) -> Model:
+def fit_arrays(texts: list[str], labels: np.ndarray, strength: float = 1e-4, rounds: int = 150, smooth: float = 1.0, features: int = FEATURES, least: int = 3) -> Model:
     """Logistic regression on presence times log-count ratio, by accelerated gradient steps.
 
     An n-gram of one length counts once a text. A first pass counts all buckets and picks the features, a second keeps
-    theirs alone, in stretches that bound what a step holds. Without texts of both classes the
+    theirs alone, in stretches that bound what a step holds: at most ``features`` buckets, each in at least ``least`` texts. Without texts of both classes the
     model is a constant: the smoothed share of positives.
     """
     y = np.asarray(labels, float)
@@ -104,8 +104,8 @@ def fit_arrays(texts: list[str], labels: np.ndarray, strength: float = 1e-4, rou
         total += np.bincount(cols, minlength=BUCKETS)
     # shares of texts, not of n-grams: long texts of one class don't shift the ratio
     ratio = np.log((with_p + smooth) / (positive + 2 * smooth)) - np.log((total - with_p + smooth) / (len(y) - positive + 2 * smooth))
-    rank = np.where(total >= 3, np.abs(ratio) * np.sqrt(total), 0.0)
-    chosen = np.sort(np.argsort(-rank, kind="stable")[:FEATURES])
+    rank = np.where(total >= least, np.abs(ratio) * np.sqrt(total), 0.0)
+    chosen = np.sort(np.argsort(-rank, kind="stable")[:features])
     chosen = chosen[rank[chosen] > 0]
     index = np.full(BUCKETS, -1, np.int32)
     index[chosen] = np.arange(len(chosen), dtype=np.int32)
@@ -192,9 +192,10 @@ def training_rows(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", te
 def score_toxicity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.7, carry: tuple[str, ...] = ()) -> DataFrame:
     """One row per document: id, held_out, score, predicted, and the ``carry`` columns. No shuffle.
 
-    Null and empty texts get the score of an empty text. Repeated rows and null ids are returned.
+    Null and empty texts get the score of an empty text. Repeated rows and null ids are returned. Columns to carry that are named like a result column give way to it.
     """
     small_batches(docs.sparkSession)
+    carry = tuple(c for c in carry if c not in ("held_out", "score", "predicted"))
     columns = list(dict.fromkeys([id_col, *carry]))
     kind = {f.name: f.dataType.simpleString() for f in docs.schema}
 

@@ -3,13 +3,14 @@
 import collections
 import gzip
 import hashlib
+import random
 
 import pytest
 from pyspark.sql import functions as F
 
 from hgpart.llm.common import connected_components
 from hgpart.llm.exact_dedup import exact_dedup
-from hgpart.llm.mixing import capped_targets, mix_sources
+from hgpart.llm.mixing import capped_unit, mix_sources
 from hgpart.llm.warc import chunked, http_payload, parse_warc, read_warc, unchunked, warc_round_trip, write_warc
 
 DOCS = "doc_id long, text string, source string, keep_id string, body string"
@@ -35,15 +36,61 @@ def test_exact_dedup_matches_brute_force(spark, bits, keep):
     assert got == want
 
 
+def test_exact_dedup_hot_groups(spark, monkeypatch):
+    import hgpart.llm.exact_dedup as E
+
+    monkeypatch.setattr(E, "BROADCAST_ROWS", 1)
+    monkeypatch.setattr(E, "HOT_ROWS", 3)
+    rows = [(i, f"text {i % 7 if i % 2 else i}", "a") for i in range(60)]
+    want = sorted((r["doc_id"], r["keep_id"], r["group_size"]) for r in exact_dedup(docs_of(spark, rows), keep="max").collect())
+    groups = collections.defaultdict(list)
+    for i, t, _ in rows:
+        groups[t].append(i)
+    assert want == sorted((i, max(groups[t]), len(groups[t])) for i, t, _ in rows)
+
+
 def test_exact_dedup_empty(spark):
     assert exact_dedup(docs_of(spark, [])).collect() == []
 
 
-def test_capped_targets():
-    assert capped_targets([10, 10, 10], [5, 2, 1], 30, 3) == [18.75, 7.5, 3.75]
-    got = capped_targets([1, 50, 49], [5, 2, 1], 100, 3)
-    assert got[0] == 3 and sum(got) == pytest.approx(100) and got[1] == pytest.approx(2 * got[2])
-    assert capped_targets([0, 0], [5, 2], 0, 3) == [0, 0]
+def capped_targets(sizes, weights, total, most):
+    """By hand: share, cap, share what is left again."""
+    target, left, free = [0.0] * len(sizes), float(total), {i for i, x in enumerate(sizes) if x > 0}
+    while free:
+        unit = left / sum(weights[i] for i in free)
+        over = {i for i in free if weights[i] * unit > most * sizes[i]}
+        for i in over or free:
+            target[i] = most * sizes[i] if over else weights[i] * unit
+        left -= sum(target[i] for i in over)
+        free = free - over if over else set()
+    return target
+
+
+def test_capped_targets(spark):
+    rng = random.Random(2)
+    for sizes in ([10, 10, 10], [1, 50, 49], [0, 0], [0, 7, 1, 900, 3, 2], [rng.randint(0, 50) ** 3 for _ in range(40)]):
+        weights = [[5.0, 2.0, 1.0][i % 3] for i in range(len(sizes))]
+        unit = capped_unit(spark.createDataFrame(list(zip(sizes, weights)), "source_size long, weight double"), 3.0)
+        got = [min(w * unit, 3 * s) for s, w in zip(sizes, weights)]
+        assert got == pytest.approx(capped_targets(sizes, weights, sum(sizes), 3))
+
+
+def test_overlapping_constraints(spark):
+    rng = random.Random(4)
+    rows = [(i, "w " * rng.randint(1, 9), rng.choice("abc"), rng.choice(["x", "y"])) for i in range(3000)]
+    got = mix_sources(spark.createDataFrame(rows, "doc_id long, text string, source string, lang string"), also=("lang",), carry=("source", "lang", "size")).toPandas()
+    for column, values in (("source", "abc"), ("lang", "xy")):
+        sizes = [int(got.loc[got[column] == v, "size"].sum()) for v in values]
+        want = capped_targets(sizes, [5.0, 2.0, 1.0], sum(sizes), 3)
+        for v, t in zip(values, want):
+            own = got[got[column] == v]
+            assert (own["size"] * own["rate"]).sum() == pytest.approx(t, rel=1e-6)
+            assert abs(own["taken"].sum() - t) <= 0.03 * t
+    # the tilt is a product of one factor a value
+    rate = got.groupby(["source", "lang"])["rate"].agg(["min", "max"])
+    assert (rate["max"] - rate["min"] < 1e-9).all()
+    r = rate["min"]
+    assert r["a", "x"] * r["b", "y"] == pytest.approx(r["a", "y"] * r["b", "x"], rel=1e-6)
 
 
 def test_mix_hits_targets(spark, sf):

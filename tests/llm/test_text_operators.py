@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 
 from hgpart.llm.automaton import compile_rules
-from hgpart.llm.decontaminate import decontaminate
+from hgpart.llm.decontaminate import decontaminate, drop_contaminated
 from hgpart.llm.html_text import extract_text, main_text
 from hgpart.llm.ngram_join import ngram_components, shingle_sets
 from hgpart.llm.queries import URL_RULES, tokenizer_path
@@ -358,6 +358,12 @@ def test_decontaminate_matches_brute_force(spark):
     bench = spark.createDataFrame([(i, t, 1) for i, t in items], "item_id long, text string, win int")
     got = [tuple(r) for r in decontaminate(docs_of(spark, rows), bench).collect()]
     assert sorted(got, key=str) == sorted(want, key=str)
+    blocks = [tuple(r) for r in decontaminate(docs_of(spark, rows), bench, scan_rows=9).collect()]
+    assert sorted(blocks, key=str) == sorted(want, key=str)
+    carried = decontaminate(docs_of(spark, rows), bench, carry=("text", "w", "n_hit")).collect()
+    assert sorted(((r["doc_id"], r["text"], r["n_hit"]) for r in carried), key=str) == sorted(((i, t, x[2]) for (i, t), x in zip(rows, want)), key=str)
+    clean = [(r["doc_id"], r["text"]) for r in drop_contaminated(docs_of(spark, rows), bench).collect()]
+    assert sorted(clean, key=str) == sorted(((i, t) for (i, t), x in zip(rows, want) if not x[5]), key=str)
     assert decontaminate(docs_of(spark, []), bench).collect() == []
     clean = decontaminate(docs_of(spark, rows), bench.limit(0)).collect()
     assert len(clean) == len(rows) and not any(r["contaminated"] for r in clean)
