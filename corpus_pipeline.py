@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hgpart.llm.common import bounded_broadcast, new_path, written
-from hgpart.llm.decontaminate import decontaminate
+from hgpart.llm import decontaminate
 from hgpart.llm.mixing import mix_sources
 from hgpart.llm.ngram_join import ngram_components
 from hgpart.llm.queries import table, tokenizer_path
@@ -32,10 +32,9 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return docs.join(bounded_broadcast(gone, gone.count()), "doc_id", "left_anti").select(*COLUMNS)
 
 
-def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+def drop_leaked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without any benchmark window."""
-    found = decontaminate(docs, table(spark, sf_dir, "benchmark"), carry=COLUMNS)
-    return found.filter(~F.col("contaminated")).select(*COLUMNS)
+    return decontaminate.drop_contaminated(docs, table(spark, sf_dir, "benchmark")).select(*COLUMNS)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,7 +51,7 @@ def write_token_shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 STAGES = [
     ("toxicity", drop_toxic),
     ("ngram_join", drop_near_copies),
-    ("decontaminate", drop_contaminated),
+    ("decontaminate", drop_leaked),
     ("mix_sources", mix),
     ("token_output", write_token_shards),
 ]
