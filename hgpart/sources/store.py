@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -15,7 +16,9 @@ def shared_dir(spark: SparkSession) -> str:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = held.get() if held.isDefined() else None
     if not base:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="hgpart-"))
+        # a folder of one machine will do only where there is one
+        local = re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master)
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="hgpart-") if local else spark.conf.get("spark.sql.warehouse.dir") + "/_hgpart")
         base = spark.sparkContext._jsc.sc().getCheckpointDir().get()
     return base.rstrip("/")
 
