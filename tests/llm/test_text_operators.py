@@ -261,6 +261,42 @@ def test_ngram_join_matches_brute_force(spark, options):
     assert all(got[i]["n_shingles"] == len(s[0]) for i, s in sets.items())
 
 
+def doubling(n):
+    """Two strings that polynomial hashes modulo a power of two do not tell apart."""
+    a, b = "a", "b"
+    for _ in range(n):
+        a, b = a + b, b + a
+    return a, b
+
+
+def test_ngram_join_tells_doubling_words_apart(spark):
+    a, b = doubling(10)
+    got = ngram_components(docs_of(spark, [(1, a), (2, b), (3, f"{a} {b}"), (4, f"{b} {a}"), (5, f"x y {a} z q r"), (6, f"x y {b} z q r")])).collect()
+    assert all(r["doc_id"] == r["component_id"] for r in got)
+
+
+def test_ngram_join_large_blocks(spark, monkeypatch):
+    import hgpart.llm.ngram_join as J
+
+    monkeypatch.setattr(J, "BLOCK_SETS", 7)
+    monkeypatch.setattr(J, "PIVOTS", 2)
+    rng = random.Random(12)
+    base = [f"w{i}" for i in range(60)]
+    rows, chain = [], list(base)
+    for i in range(45):  # a chain whose ends differ
+        chain[rng.randrange(60)] = f"n{i}"
+        rows.append((i, " ".join(chain)))
+    for i in range(45, 90):  # boilerplate that is not alike enough
+        rows.append((i, " ".join(base[:25] + [f"u{i}_{j}" for j in range(rng.randint(0, 18))])))
+    for i in range(90, 130):  # near copies
+        w = list(base)
+        w[rng.randrange(60)] = f"c{i}"
+        rows.append((i, " ".join(w)))
+    _, want = brute_components(rows)
+    got = {r["doc_id"]: r["component_id"] for r in ngram_components(docs_of(spark, rows), paired=3).collect()}
+    assert got == want
+
+
 def test_ngram_join_edges(spark):
     same = "a b c d e f g h"
     got = ngram_components(docs_of(spark, [(5, same), (5, same), (7, same), (None, same), (9, "x " * 50_000)])).collect()
