@@ -31,7 +31,8 @@ PIECES = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{LETTER}]+| ?[{NUMBER}]+| ?[^{B
 class Encoder:
     """Ids by the tokenizers library. Merges never cross pieces, so each distinct piece of a Latin-1 text is encoded once and remembered.
 
-    Texts are cut into pieces by array operations, and pieces are looked up by a 64-bit hash of their characters. New ones
+    Texts are cut into pieces by array operations, and pieces are looked up by a 64-bit hash of their characters (a sum of random odd numbers,
+    one a place) and compared with the remembered piece byte by byte; a text with a piece that differs is encoded whole. New ones
     go to the library many at a time, on a line each: a line break is a piece and an id of its own, where the ids are cut apart.
     Texts with an apostrophe, which may start a contraction, are cut by the pattern. Texts of other characters or with a special token's
     string, and tokenizers other than byte-level BPE, are encoded whole.
@@ -50,11 +51,13 @@ class Encoder:
         self.by_piece = self.line is not None and config["model"]["type"] == "BPE" and not config.get("normalizer") and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
         # 0 blank, 1 letter, 2 number, 3 other
         self.kind = np.array([0 if re.match(f"[{BLANK}]", c) else 1 if re.match(f"[{LETTER}]", c) else 2 if re.match(f"[{NUMBER}]", c) else 3 for c in map(chr, range(256))], np.uint8)
-        self.power = np.multiply.accumulate(np.full(1 << 12, 0x9E3779B97F4A7C15, np.uint64))
+        self.power = mix64(np.arange(1, (1 << 12) + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
         self._forget()
 
     def _forget(self) -> None:
         self.hash, self.start, self.size, self.flat = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+        # the pieces themselves: bytes one after another, where each begins and how long it is
+        self.text, self.text_start, self.text_size = np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     def _whole(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
@@ -145,14 +148,32 @@ class Encoder:
         fresh = np.flatnonzero(~known)
         if len(fresh):
             raw = data.tobytes()
-            ids, size = self._pieces([raw[a:a + n].decode("latin-1") for a, n in zip(starts[first[fresh]].tolist(), sizes[first[fresh]].tolist(), strict=True)])
+            begin, long = starts[first[fresh]], sizes[first[fresh]]
+            new = [raw[a:a + n] for a, n in zip(begin.tolist(), long.tolist(), strict=True)]
+            ids, size = self._pieces([x.decode("latin-1") for x in new])
             where = pos[fresh]
             self.start = np.insert(self.start, where, len(self.flat) + np.cumsum(size) - size)
             self.size = np.insert(self.size, where, size)
+            self.text_start = np.insert(self.text_start, where, len(self.text) + np.cumsum(long) - long)
+            self.text_size = np.insert(self.text_size, where, long)
             self.hash = np.insert(self.hash, where, uniq[fresh])
             self.flat = np.concatenate([self.flat, ids])
+            self.text = np.concatenate([self.text, np.frombuffer(b"".join(new), np.uint8)])
             pos = np.searchsorted(self.hash, uniq)
         at = pos[which]
+        same = self.text_size[at] == sizes
+        if same.all():
+            equal = self.text[np.repeat(self.text_start[at], sizes) + inside] == data
+            same = equal.all() if equal.all() else np.logical_and.reduceat(equal, starts)
+        if not np.all(same):
+            # pieces of one hash: whole texts go to the library, one after another without these pieces
+            wrong = set((np.searchsorted(begins, starts[~same], side="right") - 1).tolist())
+            for n in wrong:
+                out[fast[n]] = self._whole([texts[fast[n]]])[0]
+            rest = [n for n in range(len(fast)) if n not in wrong]
+            for n, ids in zip(rest, self.encode([texts[fast[n]] for n in rest]), strict=True):
+                out[fast[n]] = ids
+            return out
         ids = _ragged(self.start[at], self.size[at], self.flat)
         ends = np.cumsum(self.size[at])
         # the last piece of each text
@@ -190,7 +211,8 @@ def _by_pair(seq: np.ndarray, at: np.ndarray, made: int) -> tuple[np.ndarray, np
 def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, least: int = 2):
     """Replace adjacent pairs by new symbols until none occurs ``least`` times; pairs never reach over a document's end.
 
-    Each round counts all pairs exactly, in a run of one symbol every second. Where occurrences overlap, the more
+    Each round counts exactly all pairs that may be frequent, in a run of one symbol every second: those with a symbol of the last round and
+    those that were frequent before, for other pairs only become rarer. Where occurrences overlap, the more
     frequent pair is replaced, and the other counted anew in the next round; the most frequent pair is replaced everywhere, so
     each round makes a rule. Returns (sequence, sequence end of each document,
     rules as (left, right) rows, number of rules after each round). Rules refer only to symbols of earlier rounds.
@@ -199,8 +221,10 @@ def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, least: int = 2):
     ends = ends.astype(np.int64)
     rules, after = [], []
     made = symbols
+    # pairs that start here may occur often enough
+    maybe = np.ones(len(seq), bool)
     while len(seq) > 1:
-        free = np.ones(len(seq) - 1, bool)
+        free = maybe[:-1].copy()
         free[ends[(ends > 0) & (ends < len(seq))] - 1] = False  # nothing is paired over an end
         twin = np.flatnonzero((seq[:-1] == seq[1:]) & free)
         if len(twin):
@@ -223,12 +247,16 @@ def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, least: int = 2):
         weight, take = np.zeros(len(seq) + 1, np.int32), np.zeros(len(seq) + 1, bool)
         weight[at + 1] = rank[which]
         for _ in range(3):
-            best = np.flatnonzero((weight[1:-1] > weight[:-2]) & (weight[1:-1] > weight[2:])) + 1
+            best = at[(weight[at + 1] > weight[at]) & (weight[at + 1] > weight[np.minimum(at + 2, len(seq))])] + 1
             take[best] = True
-            weight[best] = weight[best - 1] = weight[best + 1] = 0
+            weight[best] = weight[best - 1] = weight[np.minimum(best + 1, len(seq))] = 0
         taken = take[at + 1]
         used = np.bincount(which[taken], minlength=len(count)) >= least
         taken &= used[which]
+        maybe = np.zeros(len(seq), bool)
+        maybe[at] = True
+        # of a run, those that were not counted follow the ones that were
+        maybe[twin] |= maybe[np.maximum(twin - 1, 0)]
         at, which = at[taken], which[taken]
         number = np.cumsum(used) - 1
         some = np.zeros(len(number), np.int64)
@@ -238,8 +266,12 @@ def re_pair(ids: np.ndarray, ends: np.ndarray, symbols: int, least: int = 2):
         seq[at] = (made + number[which]).astype(np.uint32)
         gone = np.zeros(len(seq), bool)
         gone[at + 1] = True
+        maybe[at] = True
+        before = at[at > 0] - 1
+        before = np.where(gone[before], before - 1, before)
+        maybe[before[before >= 0]] = True
         ends = ends - np.concatenate([[0], np.cumsum(gone)])[ends]
-        seq = seq[~gone]
+        seq, maybe = seq[~gone], maybe[~gone]
         made += len(some)
         after.append(made - symbols)
     return seq, ends, np.concatenate(rules) if rules else np.zeros((0, 2), np.uint32), after

@@ -127,6 +127,22 @@ def test_encoder_equals_library(encoder):
             assert ids.tolist() == encoder.library.encode(text, add_special_tokens=False).ids, repr(text)
 
 
+def test_encoder_tells_doubling_pieces_apart(encoder):
+    a, b = doubling(10)
+    for texts in ([a, b], [f"x {a} y", f"x {b} y", a], ["q", b, a + "'s"]):
+        assert [x.tolist() for x in encoder.encode(texts)] == [encoder.library.encode(t, add_special_tokens=False).ids for t in texts]
+
+
+def test_encoder_survives_equal_hashes(encoder, monkeypatch):
+    import hgpart.llm.tokens as T
+
+    monkeypatch.setattr(T, "mix64", lambda x: x % np.uint64(3))
+    one = Encoder(tokenizer_path())
+    one.power = np.zeros(1 << 12, np.uint64)
+    texts = ["the cat sat", "a dog ran off", "the cat", "", "mice're small"]
+    assert [x.tolist() for x in one.encode(texts)] == [encoder.library.encode(t, add_special_tokens=False).ids for t in texts]
+
+
 def test_re_pair_is_reversible_and_random_access():
     rng = np.random.default_rng(5)
     lengths = rng.integers(1, 400, 300)
