@@ -30,19 +30,104 @@ SEPARATORS = b":="
 LOCKSTEP = 48
 
 
+class Tagged:
+    """All anchored automata run together over a text, with a register for the start of every open match.
+
+    A state lists, rule by rule, the states of the rule's automaton in which matches are open, oldest start first, each state once:
+    of two matches in one state only the older can be leftmost. Once a match accepts, younger ones of its rule are dropped and none starts
+    until it ends. States and their transitions are made when a text first needs them and kept as rows of 256 entries; a
+    transition says which registers the next state keeps (-1: a match starts here), which matches now end at the next byte at the earliest and which
+    ended before this one. So each byte is read once, whatever it repeats.
+    """
+
+    def __init__(self, automata, most: int = 50_000):
+        self.automata, self.most = automata, most
+        # once these accept they accept until they die, so that nothing is read again after a match
+        self.simple = [all(a.accepts[t] or t == a.dead for s in np.flatnonzero(a.accepts) for t in set(a.next[s].tolist())) for a in automata]
+        self.tables = [([r.tolist() for r in a.next], [bool(x) for x in a.accepts], a.dead) for a in automata]
+        self._clear()
+
+    def _clear(self) -> None:
+        empty = tuple(() for _ in self.automata)
+        self.number, self.states, self.rows = {empty: 0}, [empty], [[None] * 256]
+
+    def _step(self, state: int, byte: int):
+        """(next state, registers kept, (rule, register) of matches that end before this byte, rules whose younger matches ended under an open older one)."""
+        base, keep, ended, odd, nxt = 0, [], [], [], []
+        for k, open_ in enumerate(self.states[state]):
+            table, accepts, dead = self.tables[k]
+            was = [accepts[s] for s in open_]
+            moved = [(table[s][byte], base + i) for i, s in enumerate(open_)]
+            live = [(t, r) for t, r in moved if t != dead]
+            for i, (t, r) in enumerate(moved):
+                if t == dead and was[i]:
+                    if any(r2 < r for _, r2 in live):
+                        odd.append(k)
+                    else:
+                        ended.append((k, r))
+            base += len(open_)
+            if not any(w and t != dead for w, (t, _) in zip(was, moved, strict=True)):
+                first = table[0][byte]
+                if first != dead:
+                    live.append((first, -1))
+            seen, out = set(), []
+            for t, r in live:
+                if t in seen:
+                    continue
+                seen.add(t)
+                out.append((t, r))
+                if accepts[t]:
+                    break
+            nxt.append(tuple(t for t, _ in out))
+            keep += [r for _, r in out]
+        key = tuple(nxt)
+        to = self.number.get(key)
+        if to is None:
+            to = self.number[key] = len(self.states)
+            self.states.append(key)
+            self.rows.append([None] * 256)
+        same = keep == list(range(base))
+        return to, None if same else tuple(keep), tuple(ended) or None, tuple(odd) or None
+
+    def spans(self, text: bytes) -> tuple[list[tuple[int, int, int]], set[int]]:
+        """(start, rule, end) of the leftmost longest matches that do not overlap, rule by rule; and rules that must be looked at again."""
+        if len(self.states) > self.most:
+            self._clear()
+        rows, state, regs, out, again = self.rows, 0, (), [], {k for k, x in enumerate(self.simple) if not x}
+        for j, byte in enumerate(text):
+            found = rows[state][byte]
+            if found is None:
+                found = rows[state][byte] = self._step(state, byte)
+            state, keep, ended, odd = found
+            if ended:
+                for k, r in ended:
+                    out.append((regs[r], k, j))
+            if odd:
+                again.update(odd)
+            if keep is not None:
+                regs = tuple([regs[r] if r >= 0 else j for r in keep])
+        base = 0
+        for k, open_ in enumerate(self.states[state]):
+            accepts = self.tables[k][1]
+            on = [i for i, s in enumerate(open_) if accepts[s]]
+            if on:
+                out.append((regs[base + on[0]], k, len(text)))
+            base += len(open_)
+        return [x for x in out if x[1] not in again], again
+
+
 class Scanner:
-    """All rules in one pass that tells which kinds occur; spans of those kinds by their own anchored automata."""
+    """One pass of the combined automaton over all texts finds those with a match of any rule; one pass over each of those gives the spans."""
 
     def __init__(self, rules=RULES):
         self.rules = rules
         self.all = compile_rules([(p, c) for _, p, c, _, _ in rules], anywhere=True)
         self.flat = self.all.next.astype(np.int32).ravel()
-        self.rows = [bytes(r) if self.all.next.max() < 256 else r.tolist() for r in self.all.next]
+        self.rows = [bytes(r.tolist()) if self.all.next.max() < 256 else r.tolist() for r in self.all.next]
         self.accepts = self.all.accepts.tolist()
-        self.own = []
-        for _, pattern, any_case, _, _ in rules:
-            a = compile_rules([(pattern, any_case)], anywhere=False)
-            self.own.append(([r.tolist() for r in a.next], a.accepts.tolist(), a.dead, np.flatnonzero(a.next[0] != a.dead)))
+        own = [compile_rules([(pattern, any_case)], anywhere=False) for _, pattern, any_case, _, _ in rules]
+        self.own = [([r.tolist() for r in a.next], a.accepts.tolist(), a.dead, np.flatnonzero(a.next[0] != a.dead)) for a in own]
+        self.tagged = Tagged(own)
 
     def occurring(self, texts: list[bytes]) -> np.ndarray:
         """Bit k of each text: rule k matches somewhere. Texts advance in lockstep, a byte of each at a time."""
@@ -76,9 +161,8 @@ class Scanner:
         return out
 
     def spans(self, text: bytes, k: int) -> list[tuple[int, int]]:
-        """Leftmost longest matches of rule k that do not overlap, short ones consumed and dropped; byte offsets."""
+        """Leftmost longest matches of rule k that do not overlap, found start by start: for rules that the single pass cannot settle; byte offsets."""
         table, accepts, dead, heads = self.own[k]
-        _, _, _, least, value = self.rules[k]
         starts = np.flatnonzero(np.isin(np.frombuffer(text, np.uint8), heads)).tolist()
         out, free, n = [], 0, len(text)
         for i in starts:
@@ -95,10 +179,14 @@ class Scanner:
             if end < 0:
                 continue
             free = end
-            if end - i >= least and (not value or self.value_size(text, i, end) >= value):
-                out.append((i, end))
+            out.append((i, end))
         return out
 
+    def long_enough(self, text: bytes, start: int, k: int, end: int) -> bool:
+        """Short matches are consumed, then dropped."""
+        _, _, _, least, value = self.rules[k]
+        return end - start >= least and (not value or self.value_size(text, start, end) >= value)
+
     @staticmethod
     def value_size(text: bytes, start: int, end: int) -> int:
         """Length of the value of an assignment: what follows the first separator, blanks and an opening quote."""
@@ -112,9 +200,10 @@ class Scanner:
         out = []
         for text, kinds in zip(texts, self.occurring(texts).tolist(), strict=True):
             found = []
-            for k in range(len(self.rules)):
-                if kinds >> k & 1:
-                    found += [(s, k, e) for s, e in self.spans(text, k)]
+            if kinds:
+                found, again = self.tagged.spans(text)
+                found += [(s, k, e) for k in again if kinds >> k & 1 for s, e in self.spans(text, k)]
+                found = [x for x in found if self.long_enough(text, *x)]
             if found and not text.isascii():
                 code = np.concatenate([[0], np.cumsum((np.frombuffer(text, np.uint8) & 0xC0) != 0x80)])
                 found = [(int(code[s]), k, int(code[e])) for s, k, e in found]
@@ -146,7 +235,7 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     ``spans`` lists kind:start:end by start, then by the order of the rules, in code points with exclusive ends.
     Every text is scanned whole in one pass of the combined automaton, without
-    a shuffle. Null and empty texts have no spans; repeated rows and null ids are returned as they are.
+    a shuffle; a text with a match is read once more, by all rules together, for the spans. Null and empty texts have no spans; repeated rows and null ids are returned as they are.
     Non-ASCII characters belong to no rule's classes.
     """
     small_batches(docs.sparkSession)

@@ -3,6 +3,7 @@
 import itertools
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -13,7 +14,7 @@ from hgpart.llm.decontaminate import decontaminate, drop_contaminated
 from hgpart.llm.html_text import extract_text, main_text
 from hgpart.llm.ngram_join import ngram_components, shingle_sets
 from hgpart.llm.queries import URL_RULES, tokenizer_path
-from hgpart.llm.secrets import BASE, Scanner, scan_secrets
+from hgpart.llm.secrets import BASE, RULES, Scanner, scan_secrets
 from hgpart.llm.tokens import Encoder, Shard, pack_shard, re_pair, token_round_trip
 from hgpart.llm.toxicity import fit_arrays, fit_toxicity, score_toxicity, training_rows
 from hgpart.llm.url_filter import filter_urls, mine_url_rules, split_url
@@ -367,6 +368,43 @@ def test_secret_spans_match_patterns():
     assert [scanner.rules[k][0] for _, k, _ in scanner.scan([text.encode()])[0]] == ["key_block", "forge_token", "chat_token"]
 
 
+ALL_PATTERNS = [re.compile(p.replace("{12,}", "+") if n == "hex" else p, (re.I if c else 0) | re.A) for n, p, c, _, _ in RULES]
+
+
+def test_all_spans_match_patterns():
+    rng = random.Random(6)
+    parts = ["eyJ", "eyJa", ".", "-", "_", "ghp_", "gho_", "ghp", "A1b2" * 9, "xox", "xoxb-", "123456789012345", "-----BEGIN ", "RSA ", "PRIVATE KEY-----", "-----", "é", " ", "token", "=", "AKIA", "x"]
+    texts = ["".join(rng.choice(parts) for _ in range(rng.randint(0, 25))) for _ in range(4000)]
+    scanner = Scanner()
+    for text, spans in zip(texts, scanner.scan([t.encode() for t in texts])):
+        want = []
+        for k, (p, (_, _, _, least, value)) in enumerate(zip(ALL_PATTERNS, RULES)):
+            for m in p.finditer(text):
+                if k == 0 and len(re.sub(r"""^[^:=]*[:=]\x20*["']?""", "", m[0])) < value or len(m[0]) < least:
+                    continue
+                want.append((m.start(), k, m.end()))
+        assert spans == sorted(want), text
+
+
+def test_rules_that_accept_before_they_end():
+    rules = (("a", r"ab(cd)*", False, 0, 0), ("b", r"a[a-z]*x|bc", False, 0, 0))
+    own, scanner = [re.compile(p) for _, p, _, _, _ in rules], Scanner(rules)
+    rng = random.Random(3)
+    for _ in range(3000):
+        text = "".join(rng.choice("abcdx ") for _ in range(rng.randint(0, 14)))
+        assert scanner.scan([text.encode()])[0] == sorted((m.start(), k, m.end()) for k, p in enumerate(own) for m in p.finditer(text)), text
+
+
+def test_long_runs_are_read_once():
+    scanner, took = Scanner(), []
+    for n in (20_000, 80_000):
+        text = b"eyJ" * n + b" ghp_" * n + b" token=abcdef"
+        start = time.perf_counter()
+        assert len(scanner.scan([text])[0]) == 1
+        took.append(time.perf_counter() - start)
+    assert took[1] < 10 * took[0]
+
+
 def test_scan_secrets_rows(spark):
     rows = [(1, None), (2, ""), (None, "token=abcdef"), (3, "é" * 100_000 + " secret: 'abcdef'"), (3, "token=abc")]
     got = sorted(((r["doc_id"], r["n_assign"], r["spans"]) for r in scan_secrets(docs_of(spark, rows)).collect()), key=str)
