@@ -215,6 +215,7 @@ def test_paths_choose_content_beside_articles():
     teasers = "<article><h2>Read on</h2></article><article><h2>Also new</h2></article>"
     got = main_text(f"<body><div>{long}{long}</div>{teasers}</body>")
     assert got.count("A long") == 18 and "Read on" not in got and "Also new" not in got
+    assert main_text(f"<body><div><h2>Head</h2>{long}{long}</div><div>Imprint</div></body>").startswith("Head\nA long")
     both = main_text(f"<body><article><h1>Title</h1>{long}</article><div>{long}</div><div>Imprint</div></body>")
     assert both.startswith("Title") and both.count("A long") == 18 and "Imprint" not in both
 
@@ -225,6 +226,69 @@ def test_no_share_of_the_content_is_cut():
     assert [got.count(w) for w in ("Lead", "Body", "Close", "Menu")] == [7, 200, 7, 0]
 
 
+def bare(page):
+    """Without the names of furniture: only the text and where it stands are left to go by."""
+    page = re.sub(r"<(/?)(nav|footer|aside|header|form|main|section|button|menu)\b[^>]*>", lambda m: f"<{m[1]}div>", page or "")
+    return re.sub(r"<(div|p|ul|li|span|section|article)\s[^>]*>", r"<\1>", page)
+
+
+def test_weights_decide(sf, monkeypatch):
+    """By brute force over spelled-out paths, the same blocks; with equal weights, others, where no name gives furniture away."""
+    import math
+
+    import pyarrow.parquet as pq
+
+    import hgpart.llm.html_text as H
+
+    pages = pq.read_table(f"{sf}/pages.parquet")["html"].to_pylist()
+    long = "<p>" + "A long sentence, with commas, and more. " * 9 + "</p>"
+    pages += [PAGE, f"<body><div>{long}</div><article><h2>Read on</h2></article><div>Imprint</div></body>", f"<main><h1>T</h1>{long}</main><ul><li>a<li>b, c</ul>"]
+
+    pages = [x for p in pages for x in (p, bare(p))]
+
+    def spelled(r, path):
+        return () if path <= 0 else (*spelled(r, r.above[path]), path)
+
+    changed = 0
+    for page in pages:
+        r = H.Page(page)
+        texts = [(t, p) for t, p in r.blocks if not r.furniture[p]]
+        weight = {}
+        for path in {p for _, p in texts}:
+            steps = spelled(r, path)
+            named = next((x for x in steps if r.section[x] == x), None)
+            near = named or (steps[-2] if len(steps) > 1 else None)
+
+            def mean(f, keep):
+                got = [f(t) for t, p in texts if keep(p)]
+                return sum(got) / len(got)
+
+            share = 0.5 if named or r.heading[path] else 0.1
+            a, b = ((1 - share) * mean(f, lambda p: p == path) + share * mean(f, lambda p: near is None or near in spelled(r, p)) for f in (len, lambda t: sum(c in ".,;:!?。，、" for c in t)))
+            weight[path] = math.sqrt(a * (1 + b))
+        total = sum(len(t) for t, _ in texts)
+        least = H.THRESHOLD * sum(weight[p] * len(t) for t, p in texts) / max(1, total)
+        kept = main_text(page)
+        assert kept == "\n".join(t for t, p in texts if weight[p] >= least * (1 - 1e-12))
+        with monkeypatch.context() as m:
+            m.setattr(H, "path_weights", lambda r, w=H.path_weights: {k: 1.0 for k in w(r)})
+            changed += H.main_text(page) != kept
+    assert changed > 0.3 * len(pages)
+
+
+def test_broken_and_deep_pages_take_linear_time():
+    def took(page):
+        start = time.perf_counter()
+        main_text(page)
+        return time.perf_counter() - start
+
+    for make in (lambda n: "<div>" * n + "x", lambda n: '<a href="x>' * n, lambda n: "<a " * n, lambda n: "<a " * n + '">', lambda n: "<b>" * n + "<p>t" * n, lambda n: "<div>" * n + "</li>" * n, lambda n: "<ul><li>" + "<div>" * n + "<li>" * n, lambda n: "<script>" * n, lambda n: "<p>" + "</script" * n, lambda n: "<!--" * n, lambda n: "<" * n, lambda n: "<div><dt>" * n):
+        small, large = took(make(5_000)), took(make(40_000))
+        assert large < 30 * small + 0.5
+    assert main_text("<div>" * 50_000 + "<p>" + "Some text, and more. " * 9) == " ".join(["Some text, and more."] * 9)
+    assert main_text("<p>1 < 2, and 3 > 2, so it goes.</p>") == "1 < 2, and 3 > 2, so it goes."
+
+
 def test_extract_whole_pages(spark):
     rows = [(1, "u", PAGE, "t"), (1, "u", PAGE, "t"), (None, None, None, None), (2, "v", "<p>" + "word, " * 200_000 + "</p>", "t")]
     got = extract_text(spark.createDataFrame(rows, "page_id long, url string, html string, text string")).collect()
