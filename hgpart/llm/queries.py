@@ -30,15 +30,18 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
-def url_labels(pages: DataFrame, labels: DataFrame) -> DataFrame:
-    """(url, blocked): pages whose id has a label; blocked if that says toxic or of low quality."""
-    own = labels.groupBy("doc_id").agg(F.max(((F.col("toxic") == 1) | (F.col("quality") == 0)).cast("int")).alias("blocked"))
-    return pages.select("page_id", "url").join(own, F.col("page_id") == F.col("doc_id")).select("url", "blocked")
+def url_labels(pages: DataFrame, labels: DataFrame, listed: list[tuple[str, str]] = ()) -> DataFrame:
+    """(url, blocked): what a listed rule says of a URL, else the label of the page's id, blocked if toxic or of low quality; others have none."""
+    own = labels.groupBy("doc_id").agg(F.max(((F.col("toxic") == 1) | (F.col("quality") == 0)).cast("int")).alias("labelled"))
+    judged = filter_urls(pages.select("page_id", "url"), [], listed)
+    rows = judged.join(own, F.col("page_id") == F.col("doc_id"), "left")
+    said = F.when(F.col("rule").isNotNull(), (F.col("verdict") == "block").cast("int")).otherwise(F.col("labelled"))
+    return rows.select("url", said.alias("blocked")).filter("blocked is not null")
 
 
 def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
-    mined = mine_url_rules(url_labels(pages, table(spark, sf_dir, "labels")))
+    mined = mine_url_rules(url_labels(pages, table(spark, sf_dir, "labels"), URL_RULES))
     return filter_urls(pages, mined, URL_RULES).select("page_id", "host", "path", "rule", "verdict", "mined_rule", "confidence")
 
 
