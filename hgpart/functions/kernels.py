@@ -127,7 +127,7 @@ class State:
                     if part[v] == t and v != u:
                         self.alone[v] -= w
                         break
-            if touched is not None and (left < 2 or now <= 2) and len(vs) <= 200:
+            if touched is not None and (left < 2 or now <= 2):
                 touched.update(vs)
         self.alone[u] = fresh
         c = g.node_weight[u]
@@ -275,8 +275,6 @@ def _far_pair(g: Local, rng: random.Random) -> tuple[int, int]:
             nxt = []
             for u in todo:
                 for e in g.nets[u]:
-                    if len(g.pins[e]) > 200:
-                        continue
                     for v in g.pins[e]:
                         if v not in seen:
                             seen.add(v)
@@ -354,7 +352,7 @@ def greedy_grow(g: Local, limit: list[int], seed: int, schedule: str, gain: str)
         mine, other = score[b], score[1 - b]
         for e in g.nets[u]:
             phi[e][b] += 1
-            if phi[e][b] == 1 and len(g.pins[e]) <= 200:
+            if phi[e][b] == 1:
                 w = g.net_weight[e]
                 for v in g.pins[e]:
                     if part[v] < 0:
@@ -462,7 +460,7 @@ def cluster(g: Local, c_max: int, seed: int, labels: list[int] | None = None) ->
         score: dict[int, float] = {}
         for e in g.nets[u]:
             vs = g.pins[e]
-            if 1 < len(vs) <= 300:
+            if len(vs) > 1:
                 w = g.net_weight[e] / (len(vs) - 1)
                 for v in {rep[v] for v in vs}:
                     if v != u:

@@ -18,11 +18,10 @@ def region(g: Local, part: list[int], side: int, border: list[int], most: int, d
             load += g.node_weight[v]
             if hop < depth:
                 for e in g.nets[v]:
-                    if len(g.pins[e]) <= 500:
-                        for u in g.pins[e]:
-                            if part[u] == side and u not in seen:
-                                seen.add(u)
-                                nxt.append(u)
+                    for u in g.pins[e]:
+                        if part[u] == side and u not in seen:
+                            seen.add(u)
+                            nxt.append(u)
         layer = nxt
     return out
 

@@ -14,12 +14,12 @@ from ..sources.store import truncate_lineage
 SCALE = 1 << 20
 
 
-def rate(h: Hypergraph, clusters: DataFrame | None = None, communities: DataFrame | None = None, max_net_size: int | None = None) -> DataFrame:
+def rate(h: Hypergraph, clusters: DataFrame | None = None, communities: DataFrame | None = None, max_net_size: int | None = None, only: DataFrame | None = None) -> DataFrame:
     """(node, rep, rating): heavy-edge rating of each node to each cluster that shares a net with it.
 
     Clusters are collapsed per net before pairs are formed, so a net brings at most (pins x clusters in it)
     rows. ``max_net_size`` leaves large nets out of the rating (they say little: each pair gets weight / (size - 1)).
-    With ``communities(node, community)`` both must lie in one.
+    With ``communities(node, community)`` both must lie in one. ``only(node)`` restricts the nodes that are rated.
     """
     nets = h.nets.filter("size >= 2")
     if max_net_size is not None:
@@ -35,6 +35,8 @@ def rate(h: Hypergraph, clusters: DataFrame | None = None, communities: DataFram
         pins = pins.withColumn("own", F.col("node"))
     else:
         pins = pins.join(clusters.select("node", F.col("rep").alias("own")), "node")
+    if only is not None:
+        pins = pins.join(only, "node", "left_semi")
     pairs = pins.join(targets, side).filter("own <> rep")
     return pairs.groupBy("node", "rep").agg(F.sum("score").cast("long").alias("rating"))
 
@@ -117,20 +119,70 @@ def limit_round(joins: DataFrame, ratings: DataFrame, n: int, most: float = 2.5)
     moving = joins.filter("node <> rep")
     if moving.count() <= allowed:
         return joins
-    kept = moving.join(ratings.select("node", "rating"), "node", "left").orderBy(F.desc_nulls_last("rating"), "node").limit(allowed).select("node", "rep")
+    kept = best_rated(moving.join(ratings.select("node", "rating"), "node", "left").na.fill(0, ["rating"]), allowed).select("node", "rep")
     return kept.union(kept.select(F.col("rep").alias("node"), "rep").distinct())
 
 
+def deterministic(h: Hypergraph, c_max: int, communities: DataFrame | None = None, subrounds: int = 4, tie: str = "hash", seed: int = 0, max_net_size: int | None = None, most: float = 2.5) -> DataFrame:
+    """(node, rep) for all nodes after one round of deterministic clustering: the same for any layout of the data.
+
+    A sub-round takes the single nodes of one share (id * 7919 + 13 + seed modulo ``subrounds``). Each wishes to join its best rated cluster with room, all
+    against the clusters that the sub-round found; clustered nodes stay. Of wishes for a node that would itself move, that node stays if a wisher of smaller
+    id wants it, else they lapse. Wishes are grouped by target and granted in ascending weight, then id, up to ``c_max``; groups that
+    fit as a whole pass without being ordered. A round shrinks the nodes at most ``most`` times.
+    """
+    n = h.nodes.count()
+    left = n - math.ceil(n / most)
+    clusters = h.nodes.select("node", F.col("node").alias("rep"), F.lit(True).alias("single"))
+    for s in range(subrounds):
+        mine = clusters.filter("single").select("node").filter(F.pmod(F.col("node") * 7919 + 13 + seed, F.lit(subrounds)) == s)
+        load = clusters.join(h.nodes, "node").groupBy("rep").agg(F.sum("weight").alias("load"))
+        first = s == 0
+        rated = rate(h, None if first else clusters.select("node", "rep"), communities, max_net_size, mine)
+        rated = rated.join(load, "rep").join(h.nodes, "node").filter(F.col("load") + F.col("weight") <= c_max)
+        wish = truncate_lineage(best_target(rated, tie, seed), "wishes")
+        moving = wish.select(F.col("node").alias("target"), F.lit(True).alias("moving"))
+        stays = wish.join(moving, "target").filter(F.col("node") < F.col("target")).select("target").distinct()
+        kept = wish.join(stays.select(F.col("target").alias("node")), "node", "left_anti").join(moving, "target", "left").join(stays.withColumn("stays", F.lit(True)), "target", "left")
+        kept = kept.filter("moving is null or stays").select("node", F.col("target").alias("rep"), "rating")
+        kept = truncate_lineage(kept, "kept")
+        count = kept.count()
+        if count > left:
+            kept = best_rated(kept, left)
+        loads = load.select(F.col("rep").alias("node"), F.col("load").alias("weight")).join(kept.select(F.col("rep").alias("node")).distinct(), "node", "left_semi")
+        weighed = h.nodes.join(kept.select("node"), "node", "left_semi").union(loads)
+        granted = cap(kept.select("node", "rep").union(kept.select(F.col("rep").alias("node"), "rep").distinct()), weighed, c_max)
+        granted = truncate_lineage(granted.filter("node <> rep"), "granted")
+        used = granted.select("node").union(granted.select(F.col("rep").alias("node"))).distinct().withColumn("used", F.lit(True))
+        clusters = clusters.join(granted.withColumnRenamed("rep", "to"), "node", "left").join(used, "node", "left")
+        clusters = truncate_lineage(clusters.select("node", F.coalesce("to", "rep").alias("rep"), (F.col("single") & F.col("used").isNull()).alias("single")), "clusters")
+        left -= granted.count()
+        if left <= 0:
+            break
+    return clusters.select("node", "rep")
+
+
+def best_rated(joins: DataFrame, allowed: int) -> DataFrame:
+    """The ``allowed`` best rated of ``joins(node, rep, rating)``, then smallest ids, by a prefix sum over ranges."""
+    from .prefix import running_sum
+
+    keyed = joins.withColumn("_key", F.struct((-F.col("rating")).alias("r"), "node")).withColumn("_one", F.lit(1))
+    return running_sum(keyed, "_key", "_one", "_rank").filter(F.col("_rank") <= allowed).drop("_key", "_one", "_rank")
+
+
 def should_stop(before: int, now: int, k: int, limit_factor: int = 160) -> bool:
     return now <= limit_factor * k or now > 0.99 * before
 
 
-def cluster(h: Hypergraph, c_max: int, communities: DataFrame | None = None, conflict: str = "collapse", seed: int = 0, max_net_size: int | None = 1000, rule: str = "heavy_edge") -> DataFrame:
-    """(node, rep) for all nodes after one clustering round."""
+def cluster(h: Hypergraph, c_max: int, communities: DataFrame | None = None, conflict: str = "collapse", seed: int = 0, max_net_size: int | None = None, rule: str = "heavy_edge", most: float = 2.5) -> DataFrame:
+    """(node, rep) for all nodes after one clustering round, which shrinks them at most ``most`` times."""
+    if conflict == "deterministic":
+        return deterministic(h, c_max, communities, seed=seed, max_net_size=max_net_size, most=most)
     if rule == "matching":
         joins = matching(h, communities)
     else:
         wishes = truncate_lineage(best_target(rate(h, communities=communities, max_net_size=max_net_size), seed=seed), "targets")
-        joins = resolve_joins(wishes, conflict, seed=seed)
+        joins = truncate_lineage(resolve_joins(wishes, conflict, seed=seed), "resolved")
+        joins = limit_round(joins, wishes, h.nodes.count(), most)
     joins = cap(truncate_lineage(joins, "joins"), h.nodes, c_max)
     return h.nodes.select("node").join(joins, "node", "left").select("node", F.coalesce("rep", "node").alias("rep"))

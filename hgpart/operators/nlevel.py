@@ -19,7 +19,7 @@ def admit(candidates: DataFrame, rep: DataFrame, tau: int) -> DataFrame:
     return joins.select("node", F.col("rep").alias("parent"), F.lit(tau).cast("long").alias("tau"))
 
 
-def coarsen_forest(h: Hypergraph, k: int, per_block: int = 160, max_passes: int = 60, seed: int = 0) -> tuple[DataFrame, DataFrame]:
+def coarsen_forest(h: Hypergraph, k: int, per_block: int = 160, max_passes: int = 60, seed: int = 0, max_net_size: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(node, parent, tau) of all contractions down to ``per_block * k`` roots, and (node, root)."""
     n = h.nodes.count()
     c_max = max(1, int(h.nodes.agg(F.sum("weight")).first()[0]) // (per_block * k))
@@ -30,7 +30,7 @@ def coarsen_forest(h: Hypergraph, k: int, per_block: int = 160, max_passes: int
         pins = h.pins.join(rep, "node").select("net", F.col("root").alias("node")).distinct()
         sizes = pins.groupBy("net").agg(F.count("*").cast("int").alias("size")).filter("size > 1")
         top = Hypergraph(weight, sizes.join(h.nets.select("net", "weight"), "net"), pins.join(sizes.select("net"), "net", "left_semi")).materialised("pass")
-        wishes = coarsen.best_target(coarsen.rate(top, max_net_size=1000), seed=seed + tau)
+        wishes = coarsen.best_target(coarsen.rate(top, max_net_size=max_net_size), seed=seed + tau)
         heavy = top.nodes.select(F.col("node").alias("target"), F.col("weight").alias("w_t"))
         wishes = wishes.join(heavy, "target").join(top.nodes, "node").filter(F.col("w_t") + F.col("weight") <= c_max).select("node", "target", "rating")
         got = admit(truncate_lineage(wishes, "wishes"), rep, tau)

@@ -206,14 +206,14 @@ def fm(h: Hypergraph, p: DataFrame, k: int, eps: float, max_rounds: int = 2, see
 # -- flows --------------------------------------------------------------------------------------
 
 
-def region_layers(h: Hypergraph, p: DataFrame, bi: int, bj: int, depth: int = 2, max_net_size: int = 500) -> DataFrame:
+def region_layers(h: Hypergraph, p: DataFrame, bi: int, bj: int, depth: int = 2, max_net_size: int | None = None) -> DataFrame:
     """(node, block, hop): nodes of the two blocks by distance from the cut between them, up to ``depth``."""
     two = p.filter(F.col("block").isin(bi, bj))
     pins = h.pins.join(two, "node")
     cut = pins.groupBy("net").agg(F.count_distinct("block").alias("n")).filter("n = 2").select("net")
     layer = pins.join(cut, "net", "left_semi").select("node", "block").distinct().withColumn("hop", F.lit(0))
     out = layer
-    small = pins.join(h.nets.filter(F.col("size") <= max_net_size).select("net"), "net", "left_semi")
+    small = pins.join(h.nets.filter(F.col("size") <= max_net_size).select("net"), "net", "left_semi") if max_net_size else pins
     for d in range(1, depth + 1):
         nxt = small.join(layer.select("node"), "node", "left_semi").select("net", "block").distinct().join(small, ["net", "block"]).select("node", "block").distinct()
         layer = nxt.join(out.select("node"), "node", "left_anti").withColumn("hop", F.lit(d))

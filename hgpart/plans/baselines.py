@@ -4,14 +4,17 @@ from __future__ import annotations
 
 from dataclasses import replace
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import kernels, presets
+from ..functions import arrayflow, arrays, kernels, presets
+from ..functions.arrays import Csr, State
 from ..model import Hypergraph
 from ..operators import initial
 from ..operators.prefix import dense_ids
+from ..sources.store import truncate_lineage
 from .multilevel import PRESETS, partition
 
 
@@ -37,9 +40,10 @@ def range_blocks(h: Hypergraph, k: int) -> DataFrame:
 
 
 def by_attribute(table: DataFrame, node: str, column: str) -> DataFrame:
-    """Blocks by the distinct values of a column, numbered in their order."""
+    """Blocks by the distinct values of a column, numbered in their order; the values are broadcast if there are up to a million."""
     own = table.select(F.col(node).cast("long").alias("node"), F.col(column).alias("value")).filter("node is not null and value is not null").groupBy("node").agg(F.min("value").alias("value"))
-    return own.join(F.broadcast(dense_ids(own, "value")), "value").select("node", F.col("id").cast("int").alias("block"))
+    ids = truncate_lineage(dense_ids(own, "value"), "values")
+    return own.join(F.broadcast(ids) if ids.count() <= 1_000_000 else ids, "value").select("node", F.col("id").cast("int").alias("block"))
 
 
 def exact(h: Hypergraph, k: int, eps: float) -> DataFrame:
@@ -48,104 +52,170 @@ def exact(h: Hypergraph, k: int, eps: float) -> DataFrame:
     if len(a["node_ids"]) > 12:
         raise ValueError("enumeration takes up to twelve nodes")
     g = kernels.Local.of(a["net"], a["node"], a["net_ids"], a["net_weight"], a["node_ids"], a["node_weight"])
-    found = kernels.exact(g, k, presets.limits(g, k, eps)[0])
+    found = kernels.exact(g, k, int(arrays.block_limit(Csr.of(a), k, eps)[0]))
     if found is None:
         raise ValueError("no balanced partition")
     return h.pins.sparkSession.createDataFrame(pd.DataFrame({"node": a["node_ids"], "block": found[1]}), "node long, block int")
 
 
-def _kernel(h: Hypergraph, k: int, eps: float, f, seed: int) -> DataFrame:
+def _in_task(h: Hypergraph, k: int, eps: float, f, seed: int) -> DataFrame:
+    """``f(g, k, limit, eps, seed)`` in one task."""
     a = initial.gather(h)
-    held = h.pins.sparkSession.sparkContext.broadcast(a)
 
-    def one(frames):
-        for _ in frames:
-            x = held.value
-            g = kernels.Local.of(x["net"], x["node"], x["net_ids"], x["net_weight"], x["node_ids"], x["node_weight"])
-            yield pd.DataFrame({"node": x["node_ids"], "block": f(g, k, presets.limits(g, k, eps), eps, seed)})
+    def run(value, _):
+        g = Csr.of(value)
+        return np.asarray(f(g, k, arrays.block_limit(g, k, eps), eps, seed))
 
-    return h.pins.sparkSession.range(0, 1, 1, 1).mapInPandas(one, "node long, block int")
+    spark = h.pins.sparkSession
+    (part,) = initial.tasks(spark, run, [0], a)
+    return spark.createDataFrame(pd.DataFrame({"node": a["node_ids"], "block": part.astype(np.int32)}), "node long, block int")
 
 
-def _flat_lp(g, k, limit, eps, seed):
-    part = [v % k for v in range(g.n)]
-    return kernels.rebalance(g, kernels.label_propagation(g, part, k, limit, 10, seed), k, limit)
+def _settled(g, part, k, limit, refine=None, objective="km1"):
+    """``part`` refined and balanced."""
+    state = State(g, part, k, objective)
+    arrays.rebalance(state, limit)
+    if refine:
+        refine(state, limit)
+        arrays.rebalance(state, limit)
+    return state.part
 
 
-def _bfs(g, k, limit, eps, seed):
-    return _bisect(g, k, eps, seed, lambda x, lim, s: kernels.rebalance(x, kernels.fm2(x, kernels.bfs_grow(x, lim, s), lim, 1), 2, lim))
-
-
-def _matching(g, k, limit, eps, seed, refine_):
-    """Levels by pairs alone, then bisection or direct blocks, then ``refine_``."""
-    levels, maps = [g], []
-    while levels[-1].n > 160 * k:
-        x = levels[-1]
-        rep, used = list(range(x.n)), [False] * x.n
-        for v, r in enumerate(kernels.cluster(x, max(2, 2 * sum(g.node_weight) // (160 * k)), seed + len(maps))):
-            if v != r and not used[v] and not used[r]:
-                rep[v], used[v], used[r] = r, True, True
-        small, to = kernels.contract(x, rep)
-        if small.n > 0.97 * x.n:
-            break
-        levels.append(small)
-        maps.append(to)
-    part = kernels.recursive(levels[-1], k, eps, seed, runs=(1, 1, False))
-    for x, to in zip(reversed(levels[:-1]), reversed(maps), strict=True):
-        part = refine_(x, [part[c] for c in to], k, limit, seed)
-    return kernels.rebalance(g, refine_(g, part, k, limit, seed), k, limit)
-
-
-def _bisect(g, k, eps, seed, two):
-    if k == 1 or not g.n:
-        return [0] * g.n
-    left, own = -(-k // 2), sum(g.node_weight)
-    e = max(0.0, (1 + eps) ** (1 / max(1, (k - 1).bit_length())) - 1)
-    limit = [int((1 + e) * own * x / k) + 1 for x in (left, k - left)]
-    part, out = two(g, limit, seed), [0] * g.n
-    for side, kk, first in ((0, left, 0), (1, k - left, left)):
-        keep = [v for v in range(g.n) if part[v] == side]
-        for v, b in zip(keep, _bisect(g.part_of(keep), kk, eps, seed + 1, two), strict=True):
-            out[v] = first + b
-    return out
+def _two(refine, pairs, coarse, objective="km1"):
+    """A multilevel bisection by matching or clustering with few initial runs and ``refine`` on every level."""
+
+    def run(g, limit, seed):
+        levels, maps, _ = arrays.coarsen(g, coarse, max(1, g.total // coarse), seed, pairs=pairs)
+        part = min((arrays.candidate(levels[-1], t, limit, seed) for t in ("fm_global", "max_net_global", "random")), key=lambda x: x[:2])[2]
+        for x, to in zip(reversed(levels), [None, *reversed(maps)], strict=True):
+            part = _settled(x, part if to is None else part[to], 2, limit, refine, objective)
+        return part
+
+    return run
+
+
+def _recursive(refine, pairs=True, per_block=160, objective="km1", repeats=1):
+    """By bisection all the way down, whose imbalances keep the final blocks' bound; the best of ``repeats``."""
+
+    def run(g, k, limit, eps, seed):
+        found = [_settled(g, arrays.recursive(g, k, eps, seed + 97 * r, two=_two(refine, pairs, 2 * per_block, objective)), k, limit) for r in range(repeats)]
+        return min(found, key=lambda p: g.objective(p, k, objective))
+
+    return run
+
+
+def _direct(refine, pairs=True, per_block=160, objective="km1", cycles=0, communities=False):
+    """Levels by matching or clustering, bisection of the coarsest, ``refine`` on every level; ``cycles`` more times from the blocks found."""
+
+    def run(g, k, limit, eps, seed):
+        part, best = None, None
+        for c in range(cycles + 1):
+            marks = part if c else arrays.louvain(g, seed=seed) if communities else None
+            levels, maps, top = arrays.coarsen(g, per_block * k, max(1, g.total // (per_block * k)), seed + c, marks, pairs)
+            part = top if c else arrays.recursive(levels[-1], k, eps, seed, (1, 1, False))
+            for x, to in zip(reversed(levels), [None, *reversed(maps)], strict=True):
+                part = _settled(x, part if to is None else part[to], k, limit, refine, objective)
+            if best is None or g.objective(part, k, objective) < g.objective(best, k, objective):
+                best = part
+        return best
+
+    return run
+
+
+def _steps(*steps):
+    def refine(state, limit):
+        for f in steps:
+            f(state, limit)
+
+    return refine
 
 
 def _lp(rounds):
-    return lambda x, part, k, limit, seed: kernels.label_propagation(x, part, k, limit, rounds, seed)
+    return lambda state, limit: arrays.label_propagation(state, limit, rounds)
+
+
+def _fm(rounds=1, **options):
+    return lambda state, limit: arrays.fm(state, limit, rounds, **options)
 
 
-def _fm(variant, per_search=None):
-    return lambda x, part, k, limit, seed: kernels.fm(x, kernels.label_propagation(x, part, k, limit, 2, seed), k, limit, 1, variant, per_search, seed)
+def _flow(state, limit):
+    arrayflow.refine(state, limit, 1)
 
 
-#: Stand-ins for method classes of compared systems; see the README for what each combines.
-STAND_INS = {
-    "rb_matching": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, lambda x, p, k_, l_, s_: kernels.label_propagation(x, p, k_, l_, 1, s_)),
-    "kway_matching": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _lp(3)),
-    "kway_lpclust": lambda g, k, lim, eps, s: presets.multilevel(g, k, eps, s, fm=False),
-    "boundary_fm": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("boundary")),
-    "all_moves_fm": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("all_moves")),
-    "fm_local_only": lambda g, k, lim, eps, s: _matching(g, k, lim, eps, s, _fm("localized", 25)),
-    "rb_bfs": _bfs,
-    "lp_only": _flat_lp,
-    "rb_cluster": lambda g, k, lim, eps, s: kernels.rebalance(g, kernels.recursive(g, k, eps, s), k, lim),
-    "n_level": lambda g, k, lim, eps, s: presets.n_level(g, k, eps, s, b_max=1),
-}
+def _n_level(per_block=160, flows=False, recursive=False):
+    def run(g, k, limit, eps, seed):
+        config = replace(PRESETS["quality"], b_max=1, coarse_per_block=per_block, flows=flows, runs=(1, 1, False), lp_rounds=1, fm_rounds=1)
+        if recursive:
+            two = lambda x, lim, s: presets.whole_run(x, 2, float(lim.max()) * 2 / max(1, x.total) - 1, config, s)[0]
+            return _settled(g, arrays.recursive(g, k, eps, seed, two=two), k, limit)
+        return presets.whole_run(g, k, eps, config, seed)[0]
 
+    return run
+
+
+def _flat_lp(g, k, limit, eps, seed):
+    return _settled(g, np.arange(g.n) % k, k, limit, _lp(10))
 
-def stand_in(h: Hypergraph, k: int, eps: float, name: str, seed: int = 0) -> DataFrame:
-    return _kernel(h, k, eps, STAND_INS[name], seed)
+
+def _flat_kway(g, k, limit, eps, seed):
+    """Portfolio bisections of the whole input, without levels."""
+    return _settled(g, arrays.recursive(g, k, eps, seed, two=lambda x, lim, s: arrays.portfolio(x, lim, s, (1, 1, False))), k, limit, _lp(3))
+
+
+def _bfs(g, k, limit, eps, seed):
+    two = lambda x, lim, s: arrays.fm2(x, arrays.bfs_grow(x, lim, np.random.default_rng(s)), lim, 1)
+    return _settled(g, arrays.recursive(g, k, eps, seed, two=two), k, limit)
+
+
+def stand_ins(per_block: int = 160) -> dict:
+    """name -> f(g, k, limit, eps, seed): one for each method class of the compared systems; the README says what each combines."""
+    own = {"per_block": per_block}
+    boundary, local = _fm(boundary=True), _fm(2)
+    oriented = lambda state, limit: arrays.restricted_lp(state, limit, 3, "oriented")
+    paired = lambda state, limit: arrays.restricted_lp(state, limit, 3, "pair_matching")
+    return {
+        "rb_matching": _recursive(_fm(2), **own),
+        "kway_matching": _direct(_lp(3), **own),
+        "kway_fast": _direct(boundary, **own),
+        "kway_lpclust": _direct(boundary, pairs=False, **own),
+        "kway_eco": _direct(_steps(boundary, local), **own),
+        "kway_lpclust_eco": _direct(_steps(boundary, local), pairs=False, **own),
+        "kway_strong": _direct(_steps(_lp(3), local, _flow), cycles=1, **own),
+        "kway_lpclust_strong": _direct(_steps(_lp(3), local, _flow), pairs=False, cycles=1, **own),
+        "rb_bfs": _bfs,
+        "lp_only": _direct(_lp(3), pairs=False, **own),
+        "hill_scanning": _direct(_steps(_lp(3), _fm(2, batch=1, lookahead=16)), **own),
+        "oriented_moves": _direct(oriented, **own),
+        "fm_local_only": _direct(lambda state, limit: arrays.fm_frozen(state, limit), pairs=False, **own),
+        "lp_fast": _direct(_lp(3), pairs=False, **own),
+        "lp_eco": _direct(_lp(10), pairs=False, cycles=2, **own),
+        "rb_cluster": _recursive(_fm(2), pairs=False, **own),
+        "rb_cluster_best": _recursive(_fm(2), pairs=False, repeats=5, **own),
+        "rb_matching_soed": _recursive(_fm(2), objective="soed", **own),
+        "kway_matching_soed": _direct(_steps(_lp(3), local), objective="soed", **own),
+        "n_level": _n_level(per_block),
+        "n_level_flows_rb": _n_level(per_block, True, True),
+        "n_level_flows": _n_level(per_block, True),
+        "pair_matching": _direct(paired, **own),
+        "det_matching": _direct(lambda state, limit: arrays.swaps(state, limit), **own),
+        "flat_kway": _flat_kway,
+    }
+
+
+STAND_INS = stand_ins()
+
+
+def stand_in(h: Hypergraph, k: int, eps: float, name: str, seed: int = 0, per_block: int = 160) -> DataFrame:
+    return _in_task(h, k, eps, stand_ins(per_block)[name], seed)
 
 
 def flat_lp(h: Hypergraph, k: int, eps: float, seed: int = 0) -> DataFrame:
-    return _kernel(h, k, eps, _flat_lp, seed)
+    return _in_task(h, k, eps, _flat_lp, seed)
 
 
 def bfs_grow(h: Hypergraph, k: int, eps: float, seed: int = 0) -> DataFrame:
-    return _kernel(h, k, eps, _bfs, seed)
+    return _in_task(h, k, eps, _bfs, seed)
 
 
 def default_without_fm(h: Hypergraph, k: int, eps: float, seed: int = 0) -> DataFrame:
     return partition(h, k, eps, config=replace(PRESETS["default"], fm=False), seed=seed).blocks
-
-

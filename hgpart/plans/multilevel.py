@@ -8,6 +8,7 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import presets
 from ..model import Hypergraph, induced
 from ..operators import coarsen, community, contract, initial, metrics, refine
 from ..sources.store import truncate_lineage
@@ -15,26 +16,34 @@ from ..sources.store import truncate_lineage
 
 @dataclass(frozen=True)
 class Config:
-    """What a preset switches. ``task_pins``: a level with at most so many pins is finished inside tasks, one a seed."""
+    """What a preset switches. ``task_pins``: a level with at most so many pins is finished inside tasks. ``seeds``: runs of which the best is taken.
+
+    ``superstep_rounds``: rounds of each refinement on levels that are tables. ``max_net_size``: nets over it take no part in the ratings of such levels
+    (each adds a row a pair of its pins or clusters); the log counts them. None: all do.
+    """
 
     deterministic: bool = False
     communities: bool = True
     fm: bool = True
     flows: bool = False
     n_level: bool = False
+    b_max: int = 1000
+    pairs: bool = False
+    fm_boundary: bool = False
     coarse_per_block: int = 160
-    seeds: int = 4
+    runs: tuple[int, int, bool] = presets.RUNS
+    seeds: int = 1
     task_pins: int = 1_000_000
-    max_net_size: int = 1000
-    lp_rounds: int = 2
-    fm_rounds: int = 2
+    lp_rounds: int = 5
+    fm_rounds: int = 3
+    superstep_rounds: int = 2
+    max_net_size: int | None = None
     conflict: str = "collapse"
     scheme: str = "direct"
-    allow_infeasible: bool = True
 
 
 PRESETS = {
-    "speed_det": Config(deterministic=True, fm=False, seeds=1),
+    "speed_det": Config(deterministic=True, fm=False, runs=presets.FIXED_RUNS, conflict="deterministic"),
     "default": Config(),
     "default_flows": Config(flows=True),
     "quality": Config(n_level=True),
@@ -59,10 +68,11 @@ def coarsen_levels(h: Hypergraph, k: int, config: Config, seed: int, communities
     while True:
         top = levels[-1]
         pins = top.pins.count()
-        log.append({"level": len(levels) - 1, "nodes": n, "pins": pins})
+        if pins > config.task_pins:
+            log.append({"level": len(levels) - 1, "nodes": n, "pins": pins})
         if pins <= config.task_pins or n <= config.coarse_per_block * k:
             return levels, maps, communities
-        clusters = truncate_lineage(coarsen.cluster(top, c_max, communities, "star" if config.deterministic else config.conflict, seed + len(maps), config.max_net_size), "clusters")
+        clusters = truncate_lineage(coarsen.cluster(top, c_max, communities, config.conflict, seed + len(maps), config.max_net_size), "clusters")
         coarse, mapping, _ = contract.contract(top, clusters)
         after = coarse.nodes.count()
         if after > 0.99 * n:
@@ -76,12 +86,12 @@ def coarsen_levels(h: Hypergraph, k: int, config: Config, seed: int, communities
 
 def refine_level(h: Hypergraph, p: DataFrame, k: int, eps: float, config: Config, seed: int, log: list[dict]) -> DataFrame:
     if config.deterministic:
-        p, rows = refine.deterministic_lp(h, p, k, eps, config.lp_rounds, seed=seed)
+        p, rows = refine.deterministic_lp(h, p, k, eps, config.superstep_rounds, seed=seed)
     else:
-        p, rows = refine.lp(h, p, k, eps, config.lp_rounds, seed=seed)
+        p, rows = refine.lp(h, p, k, eps, config.superstep_rounds, seed=seed)
     log += [{"phase": "lp"} | r for r in rows]
     if config.fm:
-        p, rows = refine.fm(h, p, k, eps, config.fm_rounds, seed=seed)
+        p, rows = refine.fm(h, p, k, eps, config.superstep_rounds, seed=seed)
         log += [{"phase": "fm"} | r for r in rows]
     if config.flows:
         p, rows = refine.flows(h, p, k, eps)
@@ -102,17 +112,18 @@ def partition(h: Hypergraph, k: int, eps: float = 0.03, preset: str = "default",
         blocks = _recursive(h, k, eps, preset, objective, seed, replace(config, scheme="direct"))
         return PartitionResult(blocks, metrics.report(h, blocks, k, eps), levels_log, log)
     large = h.pins.count() > config.task_pins
+    # below that size the task computes the communities of the run itself
     communities = truncate_lineage(community.louvain(h, seed=seed), "communities") if config.communities and large else None
-    log.append({"phase": "communities", "seconds": time.time() - started})
+    if large:
+        log.append({"phase": "communities", "seconds": time.time() - started})
     t = time.time()
     levels, maps, communities = coarsen_levels(h, k, config, seed, communities, levels_log)
-    log.append({"phase": "coarsening", "seconds": time.time() - t})
-    t = time.time()
-    inner = ("quality" if config.n_level else "default") + ("_flows" if config.flows else "")
-    if config.deterministic:
-        inner = "speed_det"
-    p = truncate_lineage(initial.best_run(levels[-1], k, eps, objective, preset=inner, seeds=config.seeds, seed=seed, fm=config.fm, labels=communities), "initial")
-    log.append({"phase": "initial", "seconds": time.time() - t})
+    if maps:
+        log.append({"phase": "coarsening", "seconds": time.time() - t})
+    p, rows = initial.best_run(levels[-1], k, eps, config, objective, config.seeds, seed, communities)
+    p = truncate_lineage(p, "initial")
+    log += [r for r in rows if r["phase"] != "level"]
+    levels_log += [{k_: v for k_, v in r.items() if k_ != "phase"} | {"level": r["level"] + len(maps)} for r in rows if r["phase"] == "level" and (r["level"] or not maps)]
     for fine, mapping in zip(reversed(levels[:-1]), reversed(maps), strict=True):
         t = time.time()
         p = refine_level(fine, truncate_lineage(contract.project(p, mapping), "projected"), k, eps, config, seed, log)
@@ -130,8 +141,8 @@ def _recursive(h: Hypergraph, k: int, eps: float, preset: str, objective: str, s
         return h.nodes.select("node", F.lit(0).alias("block"))
     e = max(0.0, adaptive_eps(total, k_all, own, k, eps))
     if k % 2:
-        # unequal shares: the kernel bisects by ceil and floor, so finish there
-        return initial.best_run(h, k, e, objective, seeds=config.seeds, seed=seed)
+        # unequal shares: bisection by ceil and floor of a task's level
+        return initial.best_run(h, k, e, config, objective, config.seeds, seed)[0]
     two = partition(h, 2, e, preset, objective, seed, config).blocks
     out = None
     for side in (0, 1):
@@ -141,15 +152,15 @@ def _recursive(h: Hypergraph, k: int, eps: float, preset: str, objective: str, s
     return truncate_lineage(out, "recursive")
 
 
-def vcycle(h: Hypergraph, p: DataFrame, k: int, eps: float, cycles: int = 1, preset: str = "default", seed: int = 0) -> PartitionResult:
+def vcycle(h: Hypergraph, p: DataFrame, k: int, eps: float, cycles: int = 1, preset: str = "default", seed: int = 0, config: Config | None = None) -> PartitionResult:
     """Coarsen inside the blocks of ``p``, start from it and refine on the way up; the result is never worse."""
-    config = PRESETS[preset]
+    config = config or PRESETS[preset]
     h = h.materialised("input")
     best, value, log = truncate_lineage(p.select("node", F.col("block").cast("int").alias("block")), "start"), metrics.km1(h, p), []
     for c in range(cycles):
         levels, maps, marks = coarsen_levels(h, k, config, seed + c, best.select("node", F.col("block").cast("long").alias("community")), log)
         top = marks.select("node", F.col("community").cast("int").alias("block"))
-        q = truncate_lineage(initial.best_run(levels[-1], k, eps, preset="default", seeds=config.seeds, seed=seed + c, start=top), "vcycle")
+        q = truncate_lineage(initial.best_run(levels[-1], k, eps, config, "km1", config.seeds, seed + c, start=top)[0], "vcycle")
         for fine, mapping in zip(reversed(levels[:-1]), reversed(maps), strict=True):
             q = refine_level(fine, truncate_lineage(contract.project(q, mapping), "projected"), k, eps, config, seed, log)
         after = metrics.km1(h, q)
