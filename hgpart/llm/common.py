@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Largest number of rows that a hinted broadcast may hold; callers count first.
 BROADCAST_ROWS = 1_000_000
+#: Groups with fewer rows are not broadcast where there are more groups than that.
+HOT_ROWS = 1_000
 
 _written: list[tuple[SparkSession, str]] = []
 
@@ -77,6 +79,22 @@ def bounded_broadcast(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) ->
     return F.broadcast(df) if rows <= limit else df
 
 
+def join_groups(rows: DataFrame, groups: DataFrame, keys: list[str], count: str, how: str = "inner") -> DataFrame:
+    """``rows`` with the columns of their group; ``count`` of ``groups`` says how many rows each has.
+
+    Groups that are few enough are broadcast. Else those with many rows are (their number is bounded by how many rows there are), so that a group of any size
+    stays where its rows are, and only the others meet by key.
+    """
+    n, total = groups.agg(F.count("*"), F.coalesce(F.sum(count), F.lit(0))).first()
+    if n <= BROADCAST_ROWS:
+        return rows.join(F.broadcast(groups), keys, how)
+    hot = max(HOT_ROWS, -(-total // BROADCAST_ROWS))
+    many, few = groups.filter(F.col(count) >= hot), groups.filter(F.col(count) < hot)
+    large = rows.join(F.broadcast(many), keys)
+    small = rows.join(F.broadcast(many.select(*keys)), keys, "left_anti").join(few, keys, how)
+    return large.unionByName(small)
+
+
 def worker_cache() -> dict:
     """A dict that lives as long as the Python worker; functions pickled by value have fresh globals for every task."""
     held = sys.modules.get("_hgpart_worker_cache")

@@ -5,10 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, ascii_lower, bounded_broadcast, written
-
-#: Hot groups: those with at least so many rows, or more where the table is so large that their number could pass BROADCAST_ROWS.
-HOT_ROWS = 1_000
+from .common import ascii_lower, bounded_broadcast, join_groups, written
 
 
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", hash_bytes: int = 16) -> DataFrame:
@@ -21,8 +18,7 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     the map side, so that thousands of copies leave each task as one row. Hashes that
     turn out to cover several texts are told apart by those bytes.
 
-    Rows whose hash occurs once need no partner. Groups of ``HOT_ROWS`` rows and more, at most rows / HOT_ROWS of them and never more than a
-    broadcast may hold, are broadcast, so a group of any size stays where its rows are; the others meet by hash.
+    Rows whose hash occurs once need no partner. Groups come to their rows (``join_groups``), so one of any size stays where its rows are.
 
     Null texts count as empty and equal each other. A null id is a row of its
     group like any other; it is kept only where the whole group has none. Rows
@@ -36,21 +32,13 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     key = F.expr(f"substring(unhex(md5(body)), 1, {hash_bytes})").alias("h")
     rows = written(source.select("id", key, F.unhex(F.sha2("body", 256)).alias("sha")), "hashes")
     groups = written(rows.groupBy("h").agg(F.count("*").alias("n"), best("id").alias("keep_id")).filter("n > 1"), "again")
-    again, in_groups = groups.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
+    again = groups.count()
     texts = source.select("id", key, "body").join(bounded_broadcast(groups.select("h"), again), "h", "left_semi")
     texts = texts.groupBy("h", "body").agg(F.count("*").alias("n"), best("id").alias("keep_id"))
     texts = written(texts, "texts")
     split = texts.groupBy("h").agg(F.count("*").alias("texts")).filter("texts > 1").select("h")
     n_split = split.count()
-    if again <= BROADCAST_ROWS:
-        out = rows.join(F.broadcast(groups), "h", "left")
-    else:
-        # at most in_groups / hot groups can have ``hot`` rows
-        hot = max(HOT_ROWS, -(-in_groups // BROADCAST_ROWS))
-        out = rows.join(F.broadcast(groups.filter(F.col("n") >= hot)), "h", "left")
-        large = out.filter("n is not null")
-        small = out.filter("n is null").drop("n", "keep_id").join(groups.filter(F.col("n") < hot), "h", "left")
-        out = large.unionByName(small)
+    out = join_groups(rows, groups, ["h"], "n", "left")
     if n_split:
         collided = source.select("id", key, "body").join(split, "h", "left_semi").withColumn("sha", F.unhex(F.sha2("body", 256)))
         out = out.join(split, "h", "left_anti").select("id", "keep_id", "n", "sha").union(collided.join(texts, ["h", "body"]).select("id", "keep_id", "n", "sha"))

@@ -37,7 +37,7 @@ def test_exact_dedup_matches_brute_force(spark, bits, keep):
 
 
 def test_exact_dedup_hot_groups(spark, monkeypatch):
-    import hgpart.llm.exact_dedup as E
+    import hgpart.llm.common as E
 
     monkeypatch.setattr(E, "BROADCAST_ROWS", 1)
     monkeypatch.setattr(E, "HOT_ROWS", 3)
