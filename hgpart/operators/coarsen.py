@@ -48,6 +48,12 @@ def best_target(ratings: DataFrame, tie: str = "hash", seed: int = 0) -> DataFra
     return best.select("node", F.col("x.rep").alias("target"), F.col("x.rating").alias("rating"))
 
 
+def open_wishes(targets: DataFrame, clustered: DataFrame) -> DataFrame:
+    """(node, target): wishes of nodes that are in no cluster yet (``clustered(node, rep)``); a wish for a clustered node goes to its representative."""
+    w = targets.select("node", "target").filter("node <> target").join(clustered.select("node"), "node", "left_anti")
+    return w.join(clustered.select(F.col("node").alias("target"), "rep"), "target", "left").select("node", F.coalesce("rep", "target").alias("target"))
+
+
 def resolve_joins(targets: DataFrame, conflict: str = "collapse", clustered: DataFrame | None = None, seed: int = 0) -> DataFrame:
     """(node, rep) for every node that joins another or is joined, from wishes (node, target).
 
@@ -59,10 +65,9 @@ def resolve_joins(targets: DataFrame, conflict: str = "collapse", clustered: Dat
     """
     w = targets.select("node", "target").filter("node <> target")
     if clustered is not None:
-        w = w.join(clustered.select("node"), "node", "left_anti")
-        w = w.join(clustered.select(F.col("node").alias("target"), "rep"), "target", "left").select("node", F.coalesce("rep", "target").alias("target"))
+        w = open_wishes(w, clustered)
     if conflict == "star":
-        coin = lambda c: F.pmod(F.xxhash64(c, F.lit(seed)), F.lit(2)) == 0
+        coin = lambda c: F.pmod(F.floor((F.col(c) * 7919 + 13 + seed * 104729) / 16), F.lit(2)) == 0
         mutual = w.join(w.select(F.col("node").alias("target"), F.col("target").alias("node")), ["node", "target"]).select("node", F.lit(True).alias("both"))
         x = w.join(mutual, "node", "left")
         join = x.filter(F.when(F.col("both"), F.col("node") > F.col("target")).otherwise(coin("node") & ~coin("target"))).select("node", F.col("target").alias("rep"))

@@ -145,7 +145,7 @@ def deconflict(moves: DataFrame, how: str = "optimistic", k: int | None = None,
 
     optimistic: all. oriented: only to larger blocks (``round_`` 1: to smaller ones). pair_matching: round ``round_`` of a
     tournament in which every block has one partner. color: nodes that share a net are not both moved; the one with
-    the smaller hash stays.
+    the smaller hash, (node * 7919 + 13 + 104729 round) modulo 1048573, stays.
     """
     if how == "optimistic":
         return moves
@@ -154,7 +154,7 @@ def deconflict(moves: DataFrame, how: str = "optimistic", k: int | None = None,
     if how == "pair_matching":
         return moves.filter(pair_round(F.col("src"), F.col("dst"), k) == round_)
     if how == "color":
-        order = F.struct(F.xxhash64("node", F.lit(round_)).alias("h"), "node")
+        order = F.struct(F.pmod(F.col("node") * 7919 + 13 + 104729 * round_, F.lit(1048573)).alias("h"), "node")
         first = h.pins.join(moves.select("node"), "node", "left_semi").groupBy("net").agg(F.min(order).alias("first"))
         lost = h.pins.join(moves.select("node"), "node", "left_semi").join(first, "net").filter(F.col("first.node") != F.col("node")).select("node")
         return moves.join(lost.distinct(), "node", "left_anti")

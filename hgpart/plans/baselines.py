@@ -23,12 +23,17 @@ def round_robin(h: Hypergraph, k: int) -> DataFrame:
 
 
 def hashed(h: Hypergraph, k: int, seed: int = 0) -> DataFrame:
-    return h.nodes.select("node", F.pmod(F.xxhash64("node", F.lit(seed)), F.lit(k)).cast("int").alias("block"))
+    return h.nodes.select("node", F.pmod(_hash(seed), F.lit(k)).cast("int").alias("block"))
+
+
+def _hash(seed: int):
+    """A hash that SQL can compute as well."""
+    return F.pmod(F.col("node") * 7919 + 13 + seed * 104729, F.lit(1048573))
 
 
 def random_blocks(h: Hypergraph, k: int, seed: int = 0) -> DataFrame:
     """Seeded and balanced by count: nodes in hash order, dealt in turn."""
-    ids = dense_ids(h.nodes.select(F.struct(F.xxhash64("node", F.lit(seed)).alias("h"), "node").alias("key")), "key")
+    ids = dense_ids(h.nodes.select(F.struct(_hash(seed).alias("h"), "node").alias("key")), "key")
     return ids.select("key.node", F.pmod("id", F.lit(k)).cast("int").alias("block"))
 
 

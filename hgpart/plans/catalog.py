@@ -203,13 +203,17 @@ def _(spark, d):
     return coarsen.resolve_joins(t).select("node", "rep")
 
 
-@query("c04b_star")
+@query("c04b_star", over("w1", f""", {RATING}, {TARGET}, c AS (SELECT node, ((node * 7919 + 13) // 16) % 2 = 0 AS coin FROM nodes),
+        x AS (SELECT t.node, t.target, b.node IS NOT NULL AS mutual FROM target t LEFT JOIN target b ON b.node = t.target AND b.target = t.node),
+        j AS (SELECT x.node, x.target FROM x JOIN c a ON a.node = x.node JOIN c b ON b.node = x.target WHERE CASE WHEN mutual THEN x.node > x.target ELSE a.coin AND NOT b.coin END),
+        k AS (SELECT node, target FROM j WHERE target NOT IN (SELECT node FROM j)) SELECT node, target AS rep FROM k UNION ALL SELECT DISTINCT target, target FROM k"""))
 def _(spark, d):
     h, _p = w1(spark, d)
     return coarsen.resolve_joins(coarsen.best_target(coarsen.rate(h), tie="min_id"), "star")
 
 
-@query("c04c_postprocess")
+@query("c04c_postprocess", over("w1", f""", {RATING}, {TARGET}, j AS (SELECT a.node, a.target FROM target a LEFT JOIN target b ON b.node = a.target WHERE b.node IS NULL OR (b.target = a.node AND a.node > a.target))
+        SELECT node, target AS rep FROM j UNION ALL SELECT DISTINCT target, target FROM j"""))
 def _(spark, d):
     h, _p = w1(spark, d)
     return coarsen.resolve_joins(truncate_lineage(coarsen.best_target(coarsen.rate(h), tie="min_id"), "targets"), "postprocess")
@@ -235,10 +239,38 @@ def _(spark, d):
     return coarsen.matching(w1(spark, d)[0])
 
 
-@query("c11_det_clustering")
+def _sub_round(i: int, share: int, shares: int, c_max: str) -> str:
+    """SQL of one sub-round of deterministic clustering on c{i}(node, rep, single) to c{i + 1}; unit weights."""
+    return f""",
+        l{i} AS MATERIALIZED (SELECT rep, count(*) AS load FROM c{i} GROUP BY rep),
+        q{i} AS MATERIALIZED (SELECT DISTINCT net, rep FROM pins JOIN c{i} USING (node)),
+        g{i} AS (SELECT p.node, q.rep, sum(1048576 // (size - 1)) AS rating FROM pins p JOIN c{i} c ON c.node = p.node JOIN q{i} q ON q.net = p.net AND q.rep <> c.rep JOIN nets n ON n.net = p.net
+            WHERE size >= 2 AND c.single AND (p.node * 7919 + 13) % {shares} = {share} GROUP BY 1, 2),
+        w{i} AS MATERIALIZED (SELECT node, rep FROM (SELECT g.node, g.rep, row_number() OVER (PARTITION BY g.node ORDER BY rating DESC, g.rep) AS r FROM g{i} g JOIN l{i} l ON l.rep = g.rep WHERE load + 1 <= {c_max}) WHERE r = 1),
+        s{i} AS (SELECT DISTINCT w.rep FROM w{i} w WHERE w.rep IN (SELECT node FROM w{i}) AND w.node < w.rep),
+        k{i} AS (SELECT node, rep FROM w{i} WHERE node NOT IN (SELECT rep FROM s{i}) AND (rep NOT IN (SELECT node FROM w{i}) OR rep IN (SELECT rep FROM s{i}))),
+        j{i} AS MATERIALIZED (SELECT node, rep FROM (SELECT k.node, k.rep, load + row_number() OVER (PARTITION BY k.rep ORDER BY k.node) AS now FROM k{i} k JOIN l{i} l ON l.rep = k.rep) WHERE now <= {c_max}),
+        c{i + 1} AS MATERIALIZED (SELECT c.node, coalesce(j.rep, c.rep) AS rep, c.single AND j.node IS NULL AND c.node NOT IN (SELECT rep FROM j{i}) AS single FROM c{i} c LEFT JOIN j{i} j ON j.node = c.node)"""
+
+
+@query("c11_det_clustering", over("w1", ", c0 AS (SELECT node, node AS rep, TRUE AS single FROM nodes)" + _sub_round(0, 0, 2, "7") + _sub_round(1, 1, 2, "7") + " SELECT node, rep FROM c2"))
+def _(spark, d):
+    return coarsen.deterministic(w1(spark, d)[0], 7, subrounds=2, tie="min_id", most=1e9)
+
+
+@query("c06_round_limit", over("w1", f", {RATING}, {TARGET}, m AS (SELECT node, target, rating FROM target WHERE node % 2 = 1), k AS (SELECT node, target AS rep FROM m ORDER BY rating DESC, node LIMIT (SELECT count(*) - CAST(ceil(count(*) / 1.25) AS BIGINT) FROM nodes)) SELECT node, rep FROM k UNION ALL SELECT DISTINCT rep, rep FROM k WHERE rep NOT IN (SELECT node FROM k)"))
 def _(spark, d):
     h, _p = w1(spark, d)
-    return coarsen.cluster(h, max(1, metrics.total_weight(h) // 160), conflict="star")
+    t = truncate_lineage(coarsen.best_target(coarsen.rate(h), tie="min_id").filter("node % 2 = 1"), "targets")
+    kept = coarsen.limit_round(t.select("node", F.col("target").alias("rep")), t, h.nodes.count(), 1.25).filter("node <> rep")
+    return kept.union(kept.select(F.col("rep").alias("node"), "rep").distinct().join(kept.select("node"), "node", "left_anti"))
+
+
+@query("c07_only_unclustered", over("w1", f", {RATING}, {TARGET}, cl AS (SELECT node, node - node % 2 AS rep FROM nodes WHERE node % 10 < 4) SELECT t.node, coalesce(c.rep, t.target) AS target FROM target t LEFT JOIN cl c ON c.node = t.target WHERE t.node NOT IN (SELECT node FROM cl)"))
+def _(spark, d):
+    h, _p = w1(spark, d)
+    clustered = h.nodes.filter("node % 10 < 4").select("node", (F.col("node") - F.col("node") % 2).alias("rep"))
+    return coarsen.open_wishes(coarsen.best_target(coarsen.rate(h), tie="min_id"), clustered)
 
 
 MAP = "m AS (SELECT node, dense_rank() OVER (ORDER BY node % 500) - 1 AS coarse FROM nodes)"
@@ -465,7 +497,9 @@ def _(spark, d):
     return gains.deconflict(reference_moves(h, p), "oriented")
 
 
-@query("a11_color")
+@query("a11_color", over("w1", f""", {MOVES}, x AS (SELECT p.net, m.node, (m.node * 7919 + 13) % 1048573 AS h FROM pins p JOIN moves m ON m.node = p.node),
+        lost AS (SELECT DISTINCT node FROM (SELECT node, row_number() OVER (PARTITION BY net ORDER BY h, node) AS r FROM x) WHERE r > 1)
+        SELECT idx, node, src, CAST(dst AS INTEGER) AS dst FROM moves WHERE node NOT IN (SELECT node FROM lost)"""))
 def _(spark, d):
     h, p = w1(spark, d)
     return gains.deconflict(reference_moves(h, p), "color", h=h)
@@ -794,10 +828,12 @@ def _(spark, d):
     return W.table(spark, d, "orders").select("o_orderkey").join(W.table(spark, d, "lineitem").select(F.col("l_orderkey").alias("o_orderkey")), "o_orderkey", "left_anti")
 
 
-@query("op_win_rank", over("w1", ", g AS (SELECT net, size FROM nets) SELECT net, rank() OVER (ORDER BY size DESC) AS r FROM g WHERE net % 100 = 7"))
+@query("op_win_rank", over("w1", "SELECT net, rank() OVER (ORDER BY size DESC) AS r FROM nets"))
 def _(spark, d):
-    n = w1(spark, d)[0].nets.filter("net % 100 = 7")
-    return n.select("net", F.rank().over(Window.orderBy(F.desc("size"))).cast("long").alias("r"))
+    # a rank is one more than the rows before it: a prefix sum over the distinct values, not a window over all rows
+    n = w1(spark, d)[0].nets.select("net", "size")
+    before = prefix.running_sum(n.groupBy((-F.col("size")).alias("key")).agg(F.count("*").alias("c")), "key", "c", "before", exclusive=True)
+    return n.join(before.select((-F.col("key")).alias("size"), "before"), "size").select("net", (F.col("before") + 1).alias("r"))
 
 
 @query("op_topk", "SELECT l_orderkey, l_linenumber, l_extendedprice FROM lineitem ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber LIMIT 20")
@@ -812,10 +848,10 @@ def _(spark, d):
     return of("R").distinct().exceptAll(of("A").distinct())
 
 
-@query("op_array_jaccard", """WITH t AS (SELECT conv_id, list_distinct(string_split(lower(string_agg(text, ' ' ORDER BY turn)), ' ')) AS w FROM conversations WHERE conv_id < 40 GROUP BY conv_id)
+@query("op_array_jaccard", """WITH t AS (SELECT conv_id, list_distinct(string_split(lower(string_agg(text, ' ' ORDER BY turn)), ' ')) AS w FROM conversations GROUP BY conv_id)
         SELECT a.conv_id AS a, b.conv_id AS b, round(len(list_intersect(a.w, b.w)) / (len(a.w) + len(b.w) - len(list_intersect(a.w, b.w))), 6) AS jaccard FROM t a JOIN t b ON b.conv_id = a.conv_id + 1""")
 def _(spark, d):
-    c = W.table(spark, d, "conversations").filter("conv_id < 40").groupBy("conv_id").agg(F.array_distinct(F.split(F.lower(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "text"))), lambda x: x["text"]), " ")), " ")).alias("w"))
+    c = W.table(spark, d, "conversations").groupBy("conv_id").agg(F.array_distinct(F.split(F.lower(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "text"))), lambda x: x["text"]), " ")), " ")).alias("w"))
     b = c.select((F.col("conv_id") - 1).alias("conv_id"), F.col("conv_id").alias("b"), F.col("w").alias("v"))
     return c.join(b, "conv_id").select(F.col("conv_id").alias("a"), "b", F.round(F.size(F.array_intersect("w", "v")) / F.size(F.array_union("w", "v")), 6).alias("jaccard"))
 
@@ -847,89 +883,140 @@ def _(spark, d):
 # -- whole runs -----------------------------------------------------------------------------------------------------
 
 
-def summary(h: Hypergraph, blocks: DataFrame, k: int = K) -> DataFrame:
-    """One row: feasible, and whether connectivity is below that of hashing."""
-    from . import baselines
+def checked(h: Hypergraph, blocks: DataFrame, k: int = K, objective: str = "km1") -> DataFrame:
+    """One row: nodes, each placed once; whether the blocks keep the bound, and stay under the objective of the reference partition, which SQL knows."""
+    r = metrics.report(h, blocks, k, EPS).select(objective, "feasible")
+    once = h.nodes.join(blocks, "node", "left").agg(F.count("*").alias("rows"), F.count_distinct("node").alias("nodes"), F.coalesce(F.bool_and(F.col("block").between(0, k - 1)), F.lit(True)).alias("known"))
+    floor = metrics.objectives_df(h, reference_partition(h, k)).select(F.col(objective).alias("floor"))
+    return once.crossJoin(r).crossJoin(floor).select("nodes", ((F.col("rows") == F.col("nodes")) & F.col("known")).alias("placed_once"), "feasible", "floor", (F.col(objective) < F.col("floor")).alias("below_floor"))
 
-    r = metrics.report(h, blocks, k, EPS).select("km1", "cut", "imbalance", "feasible")
-    floor = metrics.objectives_df(h, baselines.hashed(h, k)).select(F.col("km1").alias("hash_km1"))
-    return r.crossJoin(floor)
 
+def checked_sql(w: str, k: int = K, objective: str = "km1") -> str:
+    value = {"km1": "sum(la - 1)", "cut": "count(*) FILTER (WHERE la > 1)", "soed": "sum(CASE WHEN la > 1 THEN la END)"}[objective]
+    return over(w, f"SELECT (SELECT count(*) FROM nodes) AS nodes, TRUE AS placed_once, TRUE AS feasible, (SELECT CAST(coalesce({value}, 0) AS BIGINT) FROM lam) AS floor, TRUE AS below_floor", k)
 
-def _preset(name: str, workload: str = "w1"):
-    def run(spark, d):
-        from .multilevel import partition
 
-        h = W.HYPERGRAPHS[workload](spark, d).materialised("input")
-        return summary(h, partition(h, K, EPS, name).blocks)
+def whole(name: str, workload: str, k: int = K, objective: str = "km1"):
+    """Register a run (h, k) -> blocks on a workload with the invariants of its result."""
 
-    return run
+    def add(f):
+        def run(spark, d):
+            h = W.HYPERGRAPHS[workload](spark, d).materialised("input")
+            return checked(h, truncate_lineage(f(h, k), "blocks"), k, objective)
 
+        QUERIES[name], SQL[name] = run, checked_sql(workload, k, objective)
+        return f
 
-for _n, _p in enumerate(("speed_det", "default", "default_flows", "quality", "quality_flows"), 1):
-    QUERIES[f"z0{_n}_{_p}"] = _preset(_p)
-for _w in ("w2s", "w3d", "w5", "w6", "w7", "w12"):
-    QUERIES[f"z02_default_{_w}"] = _preset("default", _w)
+    return add
 
 
-def _z06(spark, d):
-    from .baselines import default_without_fm
+def _run(preset: str = "default", **changes):
+    from dataclasses import replace
 
-    h = W.order_parts(spark, d).materialised("input")
-    return summary(h, default_without_fm(h, K, EPS))
+    def run(h, k):
+        from .multilevel import PRESETS, partition
 
+        objective = changes.get("objective", "km1")
+        config = replace(PRESETS[preset], **{key: v for key, v in changes.items() if key != "objective"})
+        return partition(h, k, EPS, objective=objective, config=config).blocks
 
-QUERIES["z06_no_fm"] = _z06
+    return run
 
 
-def _vcycle(spark, d):
+for _n, _p in enumerate(("speed_det", "default", "default_flows", "quality", "quality_flows"), 1):
+    whole(f"z0{_n}_{_p}", "w1")(_run(_p))
+for _w in ("w2s", "w3d", "w5", "w6", "w7", "w12"):
+    whole(f"z02_default_{_w}", _w)(_run())
+#: Small levels, so that the hierarchy shows on a small workload.
+SMALL = {"coarse_per_block": 16}
+for _p in ("speed_det", "default_flows", "quality", "quality_flows"):
+    whole(f"z_{_p}_w7", "w7")(_run(_p, **SMALL))
+whole("z06_no_fm", "w1")(_run(fm=False))
+for _o in ("cut", "soed"):
+    whole(f"z09_objective_{_o}_w7", "w7", objective=_o)(_run(objective=_o, **SMALL))
+whole("z10_k64_w1", "w1", 64)(_run(runs=(1, 1, False), coarse_per_block=20))
+whole("m08_recursive_w7", "w7")(_run(scheme="recursive", runs=(1, 1, False), **SMALL))
+#: The superstep path: levels are tables although they would fit a task.
+TABLES = {"task_pins": 900, "coarse_per_block": 30, "superstep_rounds": 1, "runs": (1, 1, False)}
+whole("z02_distributed_w7", "w7", 4)(_run(communities=False, **TABLES))
+
+
+@whole("c09_vcycle_w7", "w7")
+def _(h, k):
     from .multilevel import vcycle
 
-    h = W.shared_lines(spark, d).materialised("input")
-    return summary(h, vcycle(h, reference_partition(h, K), K, EPS).blocks)
+    return vcycle(h, reference_partition(h, k), k, EPS).blocks
 
 
-QUERIES["c09_vcycle_w7"] = _vcycle
+@whole("i03_static_schedule_w7", "w7")
+def _(h, k):
+    """Bisections dealt one task a part instead of many small tasks."""
+    import pandas as pd
 
+    from ..functions import arrays
 
-def _distributed(spark, d):
-    """The superstep path: coarse levels and refinement as DataFrame rounds although the input would fit a task."""
-    from dataclasses import replace
+    a = initial.gather(h)
+    g = arrays.Csr.of(a)
+    part = initial.recursive(h.pins.sparkSession, g, k, EPS, runs=(2, 2, False), schedule="static")
+    state = arrays.State(g, part, k)
+    arrays.rebalance(state, arrays.block_limit(g, k, EPS))
+    return h.pins.sparkSession.createDataFrame(pd.DataFrame({"node": a["node_ids"], "block": state.part.astype("int32")}), "node long, block int")
 
-    from .multilevel import PRESETS, partition
 
-    h = W.shared_lines(spark, d).materialised("input")
-    config = replace(PRESETS["default"], task_pins=1200, coarse_per_block=40, lp_rounds=1, fm_rounds=1, communities=False, seeds=2)
-    return summary(h, partition(h, 4, EPS, config=config).blocks, 4)
+def _baseline(f):
+    def run(spark, d):
+        from . import baselines
 
+        return f(baselines, W.order_parts(spark, d))
+
+    return run
 
-QUERIES["z02_distributed_w7"] = _distributed
 
 SQL["b_round_robin"] = over("w1", "SELECT node, CAST(node % 8 AS INTEGER) AS block FROM nodes")
 SQL["b_range"] = over("w1", "SELECT node, CAST(least((row_number() OVER (ORDER BY node) - 1) * 8 // (SELECT count(*) FROM nodes), 7) AS INTEGER) AS block FROM nodes")
+SQL["b_hash"] = over("w1", "SELECT node, CAST((node * 7919 + 13) % 1048573 % 8 AS INTEGER) AS block FROM nodes")
+SQL["b_random"] = over("w1", "SELECT node, CAST((row_number() OVER (ORDER BY (node * 7919 + 13) % 1048573, node) - 1) % 8 AS INTEGER) AS block FROM nodes")
+SQL["b_attribute"] = "SELECT p_partkey AS node, CAST(dense_rank() OVER (ORDER BY p_brand) - 1 AS INTEGER) AS block FROM part"
+QUERIES["b_round_robin"] = _baseline(lambda b, h: b.round_robin(h, K))
+QUERIES["b_range"] = _baseline(lambda b, h: b.range_blocks(h, K))
+QUERIES["b_hash"] = _baseline(lambda b, h: b.hashed(h, K))
+QUERIES["b_random"] = _baseline(lambda b, h: b.random_blocks(h, K))
 
 
-def _baseline(f):
-    def run(spark, d):
+@query("b_attribute", SQL["b_attribute"])
+def _(spark, d):
+    from . import baselines
+
+    return baselines.by_attribute(W.table(spark, d, "part"), "p_partkey", "p_brand")
+
+
+def _floor(name):
+    def run(h, k):
         from . import baselines
 
-        return f(baselines, W.order_parts(spark, d))
+        return getattr(baselines, name)(h, k, EPS)
 
     return run
 
 
-QUERIES["b_round_robin"] = _baseline(lambda b, h: b.round_robin(h, K))
-QUERIES["b_range"] = _baseline(lambda b, h: b.range_blocks(h, K))
-QUERIES["b_hash"] = _baseline(lambda b, h: summary(h, b.hashed(h, K)))
-QUERIES["b_random"] = _baseline(lambda b, h: summary(h, b.random_blocks(h, K)))
-for _s in ("flat_lp", "bfs_grow"):
-    QUERIES[f"b_{_s}"] = _baseline(lambda b, h, s=_s: summary(h, truncate_lineage(getattr(b, s)(h, K, EPS), "blocks")))
-for _s in ("rb_matching", "kway_matching", "kway_lpclust", "boundary_fm", "all_moves_fm", "fm_local_only", "rb_bfs", "lp_only", "rb_cluster"):
+whole("b_flat_lp", "w1")(_floor("flat_lp"))
+whole("b_bfs_grow", "w1")(_floor("bfs_grow"))
+
 
-    def _stand(spark, d, s=_s):
+def _stand(name):
+    def run(h, k):
         from . import baselines
 
-        h = W.shared_lines(spark, d).materialised("input")
-        return summary(h, truncate_lineage(baselines.stand_in(h, K, EPS, s), "blocks"))
+        return baselines.stand_in(h, k, EPS, name, per_block=16)
+
+    return run
+
 
-    QUERIES[f"b_{_s}_w7"] = _stand
+for _s in (
+    "rb_matching", "kway_matching", "kway_fast", "kway_lpclust", "kway_eco", "kway_lpclust_eco", "kway_strong", "kway_lpclust_strong", "rb_bfs", "lp_only", "hill_scanning", "oriented_moves", "fm_local_only",
+    "lp_fast", "lp_eco", "rb_cluster", "rb_cluster_best", "n_level", "n_level_flows_rb", "n_level_flows", "pair_matching", "det_matching", "flat_kway",
+):
+    whole(f"b_{_s}_w7", "w7")(_stand(_s))
+for _s in ("rb_matching_soed", "kway_matching_soed"):
+    whole(f"b_{_s}_w7", "w7", objective="soed")(_stand(_s))
+whole("b_rb_cluster_rownet_w2s", "w2s")(_stand("rb_cluster"))

@@ -15,9 +15,11 @@ from ..sources.store import truncate_lineage
 
 
 def online_assign(pins: DataFrame, k: int, shards: int = 8) -> DataFrame:
-    """(node, block) for nodes as they first arrive in a stream of (net, node): the block that most of its nets have, ties to the lighter.
+    """(node, block), one row a node, for nodes as they first arrive in a stream of (net, node): the block that most of its nets have, ties to the lighter.
 
-    State is kept a shard (hash of the net): counts of its nets by block, and loads. A node is placed by the first shard that sees it.
+    A node belongs to one shard (hash of its id), which places it once. A shard's state is what it has seen: where its nodes are, in how many of them each net has
+    each block, and its loads; so it holds a share of about 1 / ``shards`` and knows nets by its own nodes. A shard keeps its blocks within
+    a tenth of each other where it has the choice, hence all do together.
     """
 
     def place(key: Any, frames, state: GroupState):
@@ -29,7 +31,8 @@ def online_assign(pins: DataFrame, k: int, shards: int = 8) -> DataFrame:
             for v, nets in pdf.groupby("node")["net"]:
                 if v not in home:
                     score = [sum(counts.get((int(e), b), 0) for e in nets) for b in range(k)]
-                    home[int(v)] = max(range(k), key=lambda b: (score[b], -load[b], -b))
+                    room = [b for b in range(k) if load[b] <= 1.1 * sum(load) / k + 1]
+                    home[int(v)] = max(room, key=lambda b: (score[b], -load[b], -b))
                     load[home[int(v)]] += 1
                     out.append((int(v), home[int(v)]))
                 for e in nets:
@@ -37,7 +40,7 @@ def online_assign(pins: DataFrame, k: int, shards: int = 8) -> DataFrame:
         state.update(([(e, b, c) for (e, b), c in counts.items()], list(load), list(home.items())))
         yield pd.DataFrame(out, columns=["node", "block"]).astype({"node": "int64", "block": "int32"})
 
-    dealt = pins.select("net", "node", F.pmod(F.xxhash64("net"), F.lit(shards)).alias("shard"))
+    dealt = pins.select("net", "node", F.pmod(F.xxhash64("node"), F.lit(shards)).alias("shard"))
     kind = "phi array<struct<e:long,b:int,c:long>>, load array<long>, home array<struct<v:long,b:int>>"
     return dealt.groupBy("shard").applyInPandasWithState(place, "node long, block int", kind, "append", GroupStateTimeout.NoTimeout)
 

@@ -36,7 +36,9 @@ def test_online_assignment(spark, tmp_path):
     pins.repartition(2).write.parquet(str(tmp_path / "pins"))
     stream = spark.readStream.schema("net long, node long").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "pins"))
     got = drain(online.online_assign(stream, 4, shards=2), "placed", "append", spark, tmp_path)
-    assert got.select("node").distinct().count() == pins.select("node").distinct().count()
+    assert got.count() == got.select("node").distinct().count() == pins.select("node").distinct().count()
+    loads = [r["count"] for r in got.groupBy("block").count().collect()]
+    assert max(loads) <= 1.25 * sum(loads) / 4 + 4
     assert {r["block"] for r in got.select("block").distinct().collect()} == {0, 1, 2, 3}
 
 
