@@ -54,6 +54,15 @@ def merge_identical(h: Hypergraph, fingerprint: str | None = "sumsq") -> tuple[H
     return Hypergraph(h.nodes, nets, h.pins.join(nets.select("net"), "net", "left_semi").select("net", "node")), mapping
 
 
+def merge_identical_pairs(h: Hypergraph) -> DataFrame:
+    """(net, kept) by comparing all pairs of nets of one size and one smallest pin, without fingerprints: the baseline that fingerprints are measured against."""
+    lists = h.pins.groupBy("net").agg(F.array_sort(F.collect_list("node")).alias("v"))
+    keyed = lists.select("net", "v", F.size("v").alias("size"), F.element_at("v", 1).alias("head"))
+    other = keyed.select(F.col("net").alias("other"), F.col("v").alias("u"), "size", "head")
+    same = keyed.join(other, ["size", "head"]).filter("v = u").groupBy("net").agg(F.min("other").alias("kept"))
+    return h.nets.select("net").join(same, "net", "left").select("net", F.coalesce("kept", "net").alias("kept"))
+
+
 def contract(h: Hypergraph, clusters: DataFrame, identical: bool = True) -> tuple[Hypergraph, DataFrame, DataFrame]:
     """The coarse hypergraph, (node, coarse) and (net, kept)."""
     from ..sources.store import truncate_lineage

@@ -104,11 +104,18 @@ def coarsen_once(edges: DataFrame, nodes: DataFrame, c_max: int, seed: int = 0)
     return nodes.select("node").join(joins, "node", "left").select("node", F.coalesce("rep", "node").alias("rep"))
 
 
-def partition(edges: DataFrame, k: int, eps: float = 0.03, preset: str = "default", nodes: DataFrame | None = None, seed: int = 0):
-    """Partition of a graph for edge cut, by the hypergraph scheme on two-pin nets (for which connectivity is the cut)."""
+def partition(edges: DataFrame, k: int, eps: float = 0.03, preset: str = "default", nodes: DataFrame | None = None, seed: int = 0, graph_opt: bool = True, **changes):
+    """Partition of a graph for edge cut, which for two-pin nets is the connectivity.
+
+    ``graph_opt``: refinement keeps edges and block weights alone, without pin counts of nets; else it runs on the structures for hypergraphs. Both
+    find the same blocks. ``changes`` go to the preset's configuration.
+    """
+    from dataclasses import replace
+
     from ..plans import multilevel
 
-    return multilevel.partition(to_hypergraph(edges, nodes), k, eps, preset, "cut", seed)
+    config = replace(multilevel.PRESETS[preset], graph=graph_opt, **changes)
+    return multilevel.partition(to_hypergraph(edges, nodes), k, eps, preset, "km1", seed, config)
 
 
 def knn(vectors: DataFrame, k: int, blocks: int = 8) -> DataFrame:

@@ -33,3 +33,11 @@ def salted(left: DataFrame, right: DataFrame, on: str, salts: int = 16) -> DataF
     a = left.withColumn("_salt", F.pmod(row, F.lit(salts)).cast("int"))
     b = right.withColumn("_salt", F.explode(F.array(*[F.lit(i) for i in range(salts)])))
     return a.join(b, [on, "_salt"]).drop("_salt")
+
+
+def overlapping(a: DataFrame, b: DataFrame, ia: tuple[str, str], ib: tuple[str, str], width: int) -> DataFrame:
+    """Pairs of rows whose half-open intervals share a point. Intervals are listed under each bucket of ``width`` that they touch; a pair is formed in the first bucket both touch."""
+    buckets = lambda lo, hi: F.explode(F.sequence(F.floor(F.col(lo) / width), F.floor((F.greatest(F.col(hi), F.col(lo) + 1) - 1) / width)))
+    x, y = a.withColumn("_bucket", buckets(*ia)), b.withColumn("_bucket", buckets(*ib))
+    first = F.greatest(F.floor(F.col(ia[0]) / width), F.floor(F.col(ib[0]) / width))
+    return x.join(y, "_bucket").filter((F.col(ia[0]) < F.col(ib[1])) & (F.col(ib[0]) < F.col(ia[1])) & (F.col("_bucket") == first)).drop("_bucket")

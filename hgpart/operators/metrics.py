@@ -37,6 +37,12 @@ def pin_counts(h: Hypergraph, p: DataFrame) -> DataFrame:
     return h.pins.join(p, "node").groupBy("net", "block").agg(F.count("*").alias("cnt"))
 
 
+def packed_counts(h: Hypergraph, p: DataFrame, k: int) -> DataFrame:
+    """(net, packed): one array of k small counts a net instead of a row a block; two bytes each, which bounds net sizes by 32767 pins in a block."""
+    pc = h.pins.join(p, "node").groupBy("net").pivot("block", list(range(k))).agg(F.count("node"))
+    return pc.select("net", F.array(*[F.coalesce(F.col(f"`{b}`"), F.lit(0)).cast("smallint") for b in range(k)]).alias("packed"))
+
+
 def connectivity(pc: DataFrame) -> DataFrame:
     """(net, lambda, blocks) from pin counts; blocks as a sorted list."""
     return pc.groupBy("net").agg(F.count("*").cast("int").alias("lambda"), F.array_sort(F.collect_list("block")).alias("blocks"))

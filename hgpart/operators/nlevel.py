@@ -94,6 +94,12 @@ def versioned_pins(h: Hypergraph, forest: DataFrame) -> DataFrame:
     return first.join(end, "node", "left").select("net", "node", "valid_from", F.coalesce("valid_to", forever).alias("valid_to"))
 
 
+def adjacency_lists(h: Hypergraph) -> DataFrame:
+    """(node, nets): every node with a copy of each of its nets and their pins, as plain adjacency lists would hold them; up to quadratic memory, where ``versioned_pins`` is linear."""
+    lists = h.pins.groupBy("net").agg(F.array_sort(F.collect_list("node")).alias("pins"))
+    return h.pins.join(lists, "net").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("net", "pins"))).alias("nets"))
+
+
 def active(pins_v: DataFrame, tau: int) -> DataFrame:
     """(net, node) visible at time ``tau``."""
     return pins_v.filter((F.col("valid_from") <= tau) & (F.col("valid_to") > tau)).select("net", "node")

@@ -18,7 +18,7 @@ from ..sources.store import truncate_lineage
 class Config:
     """What a preset switches. ``task_pins``: a level with at most so many pins is finished inside tasks. ``seeds``: runs of which the best is taken.
 
-    ``superstep_rounds``: rounds of each refinement on levels that are tables. ``max_net_size``: nets over it take no part in the ratings of such levels
+    ``graph``: inputs of two-pin nets alone take the structures for graphs. ``superstep_rounds``: rounds of each refinement on levels that are tables. ``max_net_size``: nets over it take no part in the ratings of such levels
     (each adds a row a pair of its pins or clusters); the log counts them. None: all do.
     """
 
@@ -30,6 +30,7 @@ class Config:
     b_max: int = 1000
     pairs: bool = False
     fm_boundary: bool = False
+    graph: bool = True
     coarse_per_block: int = 160
     runs: tuple[int, int, bool] = presets.RUNS
     seeds: int = 1
@@ -139,7 +140,9 @@ def _recursive(h: Hypergraph, k: int, eps: float, preset: str, objective: str, s
     total, k_all = total or own, k_all or k
     if k == 1:
         return h.nodes.select("node", F.lit(0).alias("block"))
-    e = max(0.0, adaptive_eps(total, k_all, own, k, eps))
+    e = adaptive_eps(total, k_all, own, k, eps)
+    # bounds are whole numbers: a half must not get more than its blocks may have
+    e = max(0.0, min(e, metrics.max_block_weight(total, k_all, eps) * (k // 2) / max(1, -(-own // 2)) - 1))
     if k % 2:
         # unequal shares: bisection by ceil and floor of a task's level
         return initial.best_run(h, k, e, config, objective, config.seeds, seed)[0]
