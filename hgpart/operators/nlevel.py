@@ -105,6 +105,27 @@ def active(pins_v: DataFrame, tau: int) -> DataFrame:
     return pins_v.filter((F.col("valid_from") <= tau) & (F.col("valid_to") > tau)).select("net", "node")
 
 
+def roots_at(nodes: DataFrame, forest: DataFrame, tau: int) -> DataFrame:
+    """(node, root): the representative of every node after the contractions of all times before ``tau``; pointer doubling."""
+    up = forest.filter(F.col("tau") < tau).select("node", "parent")
+    root = truncate_lineage(nodes.select("node").join(up, "node", "left").select("node", F.coalesce("parent", "node").alias("root")), "roots")
+    while True:
+        nxt = truncate_lineage(root.join(root.select(F.col("node").alias("root"), F.col("root").alias("up")), "root").select("node", F.col("up").alias("root"), (F.col("up") != F.col("root")).alias("moved")), "roots")
+        root = nxt.select("node", "root")
+        if not nxt.filter("moved").limit(1).count():
+            return root
+
+
+def level_at(h: Hypergraph, forest: DataFrame, pins_v: DataFrame, tau: int) -> tuple[Hypergraph, DataFrame]:
+    """The hypergraph that is visible at time ``tau``, from versioned pins, and (node, root). Nets of one pin are left out."""
+    root = roots_at(h.nodes, forest, tau)
+    nodes = h.nodes.join(root, "node").groupBy(F.col("root").alias("node")).agg(F.sum("weight").cast("long").alias("weight"))
+    pins = active(pins_v, tau)
+    size = pins.groupBy("net").agg(F.count("*").cast("int").alias("size")).filter("size > 1")
+    nets = h.nets.select("net", "weight").join(size, "net").select("net", "weight", "size")
+    return Hypergraph(nodes, nets, pins.join(nets.select("net"), "net", "left_semi")).materialised("visible"), root
+
+
 def contract_pair(pins_v: DataFrame, v: int, u: int, tau: int) -> DataFrame:
     """Pins after contracting v onto u at ``tau``: v's open rows close, u's open where it had none."""
     open_ = F.col("valid_to") > tau

@@ -944,6 +944,9 @@ TABLES = {"task_pins": 900, "coarse_per_block": 30, "superstep_rounds": 1, "runs
 whole("z02_distributed_w7", "w7", 4)(_run(communities=False, **TABLES))
 
 
+whole("n08_tables_w7", "w7", 4)(_run("quality", **(TABLES | {"coarse_per_block": 80})))
+
+
 @whole("c09_vcycle_w7", "w7")
 def _(h, k):
     from .multilevel import vcycle

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions import presets
 from ..model import Hypergraph, induced
-from ..operators import coarsen, community, contract, initial, metrics, refine
+from ..operators import coarsen, community, contract, initial, metrics, nlevel, refine
 from ..sources.store import truncate_lineage
 
 
@@ -113,6 +113,9 @@ def partition(h: Hypergraph, k: int, eps: float = 0.03, preset: str = "default",
         blocks = _recursive(h, k, eps, preset, objective, seed, replace(config, scheme="direct"))
         return PartitionResult(blocks, metrics.report(h, blocks, k, eps), levels_log, log)
     large = h.pins.count() > config.task_pins
+    if large and config.n_level:
+        p = n_level_tables(h, k, eps, config, objective, seed, log)
+        return PartitionResult(p, metrics.report(h, p, k, eps), levels_log, log)
     # below that size the task computes the communities of the run itself
     communities = truncate_lineage(community.louvain(h, seed=seed), "communities") if config.communities and large else None
     if large:
@@ -132,6 +135,39 @@ def partition(h: Hypergraph, k: int, eps: float = 0.03, preset: str = "default",
     return PartitionResult(p, metrics.report(h, p, k, eps), levels_log, log)
 
 
+def n_level_tables(h: Hypergraph, k: int, eps: float, config: Config, objective: str, seed: int, log: list[dict]) -> DataFrame:
+    """The n-level scheme on tables: a forest of single contractions, admitted superstep by superstep, and pins with validity intervals; no level is stored.
+
+    The coarsest level is partitioned inside tasks. Then each superstep's contractions, which are independent, are undone as one batch: children take their
+    parent's block, label propagation and searches start around what came back, with gains set up for the nets they touch, and the whole
+    level is refined as in the multilevel scheme.
+    """
+    t = time.time()
+    forest, _ = nlevel.coarsen_forest(h, k, config.coarse_per_block, seed=seed, max_net_size=config.max_net_size)
+    forest = truncate_lineage(forest, "forest")
+    pins_v = truncate_lineage(nlevel.versioned_pins(h, forest), "versions")
+    top = forest.agg(F.coalesce(F.max("tau"), F.lit(-1))).first()[0]
+    log.append({"phase": "coarsening", "seconds": time.time() - t})
+    level, _ = nlevel.level_at(h, forest, pins_v, top + 1)
+    p, rows = initial.best_run(level, k, eps, replace(config, n_level=False), objective, config.seeds, seed)
+    p = truncate_lineage(p, "initial")
+    log += rows
+    for tau in range(top, -1, -1):
+        t = time.time()
+        back = forest.filter(F.col("tau") == tau)
+        p = truncate_lineage(p.union(back.join(p.withColumnRenamed("node", "parent"), "parent").select("node", "block")), "undone")
+        level, _ = nlevel.level_at(h, forest, pins_v, tau)
+        seeds = truncate_lineage(back.select(F.explode(F.array("node", "parent")).alias("node")).distinct(), "seeds")
+        p, rows = refine.lp(level, p, k, eps, 1, seed=seed, seeds=seeds)
+        log += [{"phase": "batch lp"} | r for r in rows]
+        if config.fm:
+            p, rows = refine.fm(level, p, k, eps, 1, seed=seed, seeds=seeds)
+            log += [{"phase": "batch fm"} | r for r in rows]
+        p = refine_level(level, p, k, eps, config, seed, log)
+        log.append({"phase": "refinement", "seconds": time.time() - t})
+    return p
+
+
 def _recursive(h: Hypergraph, k: int, eps: float, preset: str, objective: str, seed: int, config: Config, total: int | None = None, k_all: int | None = None) -> DataFrame:
     """By bisection on whole hypergraphs, each with an imbalance that keeps the final blocks within ``eps``."""
     from ..functions.kernels import adaptive_eps
