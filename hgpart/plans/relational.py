@@ -83,12 +83,13 @@ def _(spark, d):
     return spark.sql("SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(grouping_id(l_returnflag, l_linestatus) AS BIGINT) AS level FROM hgpart_gsets GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
 
 
-_EACH = Window.partitionBy("user_id").orderBy("ts", "event_id")
+def _each_user():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
 
 
 @query("op_win_frame", "SELECT event_id, count(*) OVER w AS n, max(event_id) OVER w AS newest FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND 1 FOLLOWING)")
 def _(spark, d):
-    w = _EACH.rowsBetween(-3, 1)
+    w = _each_user().rowsBetween(-3, 1)
     return _t(spark, d, "events").select("event_id", F.count("*").over(w).alias("n"), F.max("event_id").over(w).alias("newest"))
 
 
@@ -100,7 +101,7 @@ def _(spark, d):
 
 @query("op_win_lag", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_type) OVER w AS next_type FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 def _(spark, d):
-    return _t(spark, d, "events").select("event_id", F.lag("event_id").over(_EACH).alias("before"), F.lead("event_type").over(_EACH).alias("next_type"))
+    return _t(spark, d, "events").select("event_id", F.lag("event_id").over(_each_user()).alias("before"), F.lead("event_type").over(_each_user()).alias("next_type"))
 
 
 @query("op_set_union", "SELECT l_partkey AS k FROM lineitem WHERE l_returnflag = 'R' UNION SELECT p_partkey FROM part WHERE p_size > 40")
