@@ -85,6 +85,13 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_url_rules, op2_mix_sources, op3_exact_dedup, op4_toxicity, op5_token_output, op6_html_text, op7_ngram_join, op8_secrets, op9_decontaminate, op10_warc)}
 
+#: What SQL can say of operators whose whole rows it cannot: columns of the same queries.
+COMPANIONS = {
+    "listed_url_rules": lambda spark, sf_dir: op1_url_rules(spark, sf_dir).select("page_id", "host", "path", "rule"),
+    "mix_targets": lambda spark, sf_dir: op2_mix_sources(spark, sf_dir).select("doc_id", "size", "source_size", "target"),
+    "secret_counts": lambda spark, sf_dir: op8_secrets(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex"),
+}
+
 _LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 ORACLE_SQL = {
@@ -127,3 +134,29 @@ ORACLE_SQL = {
                CASE WHEN n >= 1000 AND top <> page_id THEN top END AS refers_to
         FROM q""",
 }
+
+_EITHER = "".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in "(password|passwd|secret|token|api_?key)")
+
+ORACLE_SQL |= {
+    "listed_url_rules": """
+        WITH p AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+        h AS (SELECT page_id, regexp_extract(rest, '^[^/?#]*') AS raw, rest FROM p),
+        q AS (SELECT page_id, translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(substr(rest, length(raw) + 1), '^[^?#]*') AS path FROM h),
+        r(rule, rh, rp) AS (VALUES ('com/', 'com', '/'), ('example.com/en/', 'example.com', '/en/'), ('www.example.com/en/', 'www.example.com', '/en/'), ('net/es/', 'net', '/es/'), ('net/fr/', 'net', '/fr/')),
+        f AS (SELECT page_id, arg_max(rule, length(rule)) AS rule FROM q JOIN r ON (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp) GROUP BY page_id)
+        SELECT q.page_id, host, path, rule FROM q LEFT JOIN f USING (page_id)""",
+    "mix_targets": r"""
+        WITH d AS (SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size FROM documents),
+        s AS (SELECT source, CAST(sum(size) AS BIGINT) AS n FROM d GROUP BY source),
+        w AS (SELECT source, n, CASE (row_number() OVER (ORDER BY source IS NULL, source COLLATE binary) - 1) % 3 WHEN 0 THEN 5.0::DOUBLE WHEN 1 THEN 2.0 ELSE 1.0 END AS w FROM s),
+        o AS (SELECT *, sum(n) OVER x AS below_n, sum(w) OVER x AS below_w FROM w WHERE n > 0 WINDOW x AS (ORDER BY n / w, source ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+        u AS (SELECT ((SELECT sum(n) FROM s) - 3.0::DOUBLE * coalesce(below_n, 0)) / ((SELECT sum(w) FROM w WHERE n > 0) - coalesce(below_w, 0)) AS unit, n / w AS ratio FROM o),
+        t AS (SELECT min(unit) AS unit FROM u WHERE unit <= 3.0 * ratio)
+        SELECT doc_id, size, n AS source_size, CASE WHEN n > 0 THEN least(w * (SELECT unit FROM t), n * 3.0::DOUBLE) ELSE 0.0::DOUBLE END AS target
+        FROM d JOIN w ON d.source IS NOT DISTINCT FROM w.source""",
+    "secret_counts": rf"""
+        SELECT doc_id, CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '{_EITHER}["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2), x -> length(x) >= 6)) AS BIGINT) AS n_assign,
+        CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), 'AKIA[A-Z0-9]+'), x -> length(x) >= 20)) AS BIGINT) AS n_access,
+        CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '[0-9a-f]+'), x -> length(x) >= 24)) AS BIGINT) AS n_hex
+        FROM documents""",
+}

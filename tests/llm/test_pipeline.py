@@ -2,7 +2,7 @@
 
 import corpus_pipeline
 from hgpart.llm.ngram_join import ngram_components
-from hgpart.llm.queries import ORACLE_SQL, QUERIES
+from hgpart.llm.queries import COMPANIONS, ORACLE_SQL, QUERIES
 
 
 def test_stages_keep_columns_and_take_effect(spark, sf, tmp_path):
@@ -28,5 +28,5 @@ def test_stages_keep_columns_and_take_effect(spark, sf, tmp_path):
 
 
 def test_registered_queries():
-    assert len(QUERIES) == 10 and set(ORACLE_SQL) <= set(QUERIES)
+    assert len(QUERIES) == 10 and set(ORACLE_SQL) <= set(QUERIES) | set(COMPANIONS)
     assert [int(n[2:].split("_")[0]) for n in QUERIES] == list(range(1, 11))
