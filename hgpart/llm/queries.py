@@ -155,8 +155,8 @@ ORACLE_SQL |= {
         SELECT doc_id, size, n AS source_size, CASE WHEN n > 0 THEN least(w * (SELECT unit FROM t), n * 3.0::DOUBLE) ELSE 0.0::DOUBLE END AS target
         FROM d JOIN w ON d.source IS NOT DISTINCT FROM w.source""",
     "secret_counts": rf"""
-        SELECT doc_id, CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '{_EITHER}["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2), x -> length(x) >= 6)) AS BIGINT) AS n_assign,
-        CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), 'AKIA[A-Z0-9]+'), x -> length(x) >= 20)) AS BIGINT) AS n_access,
-        CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '[0-9a-f]+'), x -> length(x) >= 24)) AS BIGINT) AS n_hex
+        SELECT doc_id, CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '{_EITHER}["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2), lambda x: length(x) >= 6)) AS BIGINT) AS n_assign,
+        CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), 'AKIA[A-Z0-9]+'), lambda x: length(x) >= 20)) AS BIGINT) AS n_access,
+        CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '[0-9a-f]+'), lambda x: length(x) >= 24)) AS BIGINT) AS n_hex
         FROM documents""",
 }
