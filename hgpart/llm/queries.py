@@ -151,7 +151,7 @@ ORACLE_SQL |= {
         w AS (SELECT source, n, CASE (row_number() OVER (ORDER BY source IS NULL, source) - 1) % 3 WHEN 0 THEN 5.0::DOUBLE WHEN 1 THEN 2.0 ELSE 1.0 END AS w FROM s),
         o AS (SELECT *, sum(n) OVER x AS below_n, sum(w) OVER x AS below_w FROM w WHERE n > 0 WINDOW x AS (ORDER BY n / w, source ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
         u AS (SELECT ((SELECT sum(n) FROM s) - 3.0::DOUBLE * coalesce(below_n, 0)) / ((SELECT sum(w) FROM w WHERE n > 0) - coalesce(below_w, 0)) AS unit, n / w AS ratio FROM o),
-        t AS (SELECT min(unit) AS unit FROM u WHERE unit <= 3.0 * ratio)
+        t AS (SELECT arg_min(unit, ratio) AS unit FROM u WHERE unit <= 3.0 * ratio)
         SELECT doc_id, size, n AS source_size, CASE WHEN n > 0 THEN least(w * (SELECT unit FROM t), n * 3.0::DOUBLE) ELSE 0.0::DOUBLE END AS target
         FROM d JOIN w ON d.source IS NOT DISTINCT FROM w.source""",
     "secret_counts": rf"""
