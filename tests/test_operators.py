@@ -3,12 +3,14 @@
 import random
 from dataclasses import replace
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from hgpart.functions import kernels
+from hgpart.functions.arrays import Csr
 from hgpart.model import build, from_pinlists, induced, reference_partition, to_pinlists
-from hgpart.operators import coarsen, community, contract, gains, graphs, joins, metrics, nlevel, prefix, refine
+from hgpart.operators import coarsen, community, contract, gains, graphs, initial, joins, metrics, nlevel, prefix, refine
 from hgpart.plans import baselines, multilevel
 from hgpart.sources import formats, store, workloads
 
@@ -180,6 +182,23 @@ def test_deterministic_preset_ignores_the_layout(spark):
     assert results[0] == results[1]
 
 
+def test_portfolios_ignore_the_number_of_tasks(spark):
+    a = initial.gather(workloads.planted(spark, 60, 200, 4, seed=8))
+    g = Csr.of(a)
+    one, three = (initial.recursive(spark, g, 4, 0.1, runs=(2, 6, True), width=w) for w in (1, 3))
+    assert (one == three).all() and g.weights(one, 4).max() <= 17
+    part, log = initial.one_run(spark, a, 4, 0.1, replace(multilevel.PRESETS["default"], coarse_per_block=5, runs=(1, 1, False)))
+    assert {r["phase"] for r in log} >= {"level", "communities", "coarsening", "initial", "lp", "fm"}
+    assert g.objective(part, 4) <= g.objective(np.arange(60) % 4, 4) + 5
+
+
+def test_initial_partition_of_too_many_pins(spark):
+    h = workloads.planted(spark, 60, 200, 4, seed=8)
+    some = initial.heaviest_nets(h, 300)
+    assert 0 < some.pins.count() <= 400 and some.nodes.count() == h.nodes.count()
+    assert len(initial.gather(h, limit=300)["net"]) <= 400
+
+
 def test_presets_beat_floors(spark):
     h = workloads.planted(spark, 120, 500, 4, inside=0.9, seed=5).materialised()
     floor = metrics.km1(h, baselines.hashed(h, 4))
