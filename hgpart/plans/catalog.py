@@ -1025,6 +1025,6 @@ for _s in (
     whole(f"b_{_s}_w7", "w7")(_stand(_s))
 for _s in ("rb_matching_soed", "kway_matching_soed"):
     whole(f"b_{_s}_w7", "w7", objective="soed")(_stand(_s))
-whole("b_rb_cluster_rownet_w2s", "w2s")(_stand("rb_cluster"))
+whole("b_rb_cluster_rownet_w5", "w5")(_stand("rb_cluster"))
 
 from . import experiments, relational  # noqa: E402, F401  registers further queries
