@@ -21,7 +21,8 @@ HEAD = "<4sHHIIIIQ"
 END = np.zeros(1, np.uint32)
 #: Ids of one shard; a longer document makes a longer shard.
 SHARD_IDS = 1 << 19
-CACHE_WORDS = 400_000
+#: Pieces that a worker remembers.
+CACHE_WORDS = 700_000
 
 # fixed values: how byte-level BPE of this family cuts a text into pieces, for texts of Latin-1 characters
 LETTER, NUMBER, BLANK = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe", "\t-\r \x85\xa0"
@@ -58,6 +59,16 @@ class Encoder:
         self.hash, self.start, self.size, self.flat = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
         # the pieces themselves: bytes one after another, where each begins and how long it is
         self.text, self.text_start, self.text_size = np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        # in how many calls each was met
+        self.used = np.zeros(0, np.int32)
+
+    def _trim(self) -> None:
+        """Forget pieces met in one call only, or all but the ones met most if that leaves more than half; the others count half from now on."""
+        often = max(1, int(np.partition(self.used, -(CACHE_WORDS // 2))[-(CACHE_WORDS // 2)])) if len(self.used) > CACHE_WORDS // 2 else 1
+        keep = self.used > often
+        self.flat, self.text = _ragged(self.start[keep], self.size[keep], self.flat), _ragged(self.text_start[keep], self.text_size[keep], self.text)
+        self.hash, self.size, self.text_size, self.used = self.hash[keep], self.size[keep], self.text_size[keep], self.used[keep] // 2
+        self.start, self.text_start = np.cumsum(self.size) - self.size, np.cumsum(self.text_size) - self.text_size
 
     def _whole(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, np.uint32) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
@@ -140,7 +151,7 @@ class Encoder:
         key = mix64(np.add.reduceat(value, starts) + sizes.astype(np.uint64))
         uniq, first, which = np.unique(key, return_index=True, return_inverse=True)
         if len(self.hash) > CACHE_WORDS:
-            self._forget()
+            self._trim()
         pos = np.searchsorted(self.hash, uniq)
         known = np.zeros(len(uniq), bool)
         inner = pos < len(self.hash)
@@ -157,9 +168,11 @@ class Encoder:
             self.text_start = np.insert(self.text_start, where, len(self.text) + np.cumsum(long) - long)
             self.text_size = np.insert(self.text_size, where, long)
             self.hash = np.insert(self.hash, where, uniq[fresh])
+            self.used = np.insert(self.used, where, 0)
             self.flat = np.concatenate([self.flat, ids])
             self.text = np.concatenate([self.text, np.frombuffer(b"".join(new), np.uint8)])
             pos = np.searchsorted(self.hash, uniq)
+        self.used[pos] += 1
         at = pos[which]
         same = self.text_size[at] == sizes
         if same.all():
